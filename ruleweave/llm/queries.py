@@ -6,10 +6,10 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from ruleweave.llm import substring_dedup, token_counts, token_files
+from ruleweave.llm import decontaminate, piece_transducer, secret_ledger, substring_dedup, token_counts, token_files
 from ruleweave.llm.common import table
 
-TOKENIZER, BYTE_TOKENIZER = "word_bpe_49k.json", "byte_bpe_50k.tiktoken"
+TOKENIZER, BYTE_TOKENIZER, PIECE_MODEL = "word_bpe_49k.json", "byte_bpe_50k.tiktoken", "piece_bpe_32k.model"
 
 
 def tokenizer_file(name: str) -> str:
@@ -22,6 +22,10 @@ def op1_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files.encode_write_read(table(spark, sf_dir, "documents"), tokenizer_file(TOKENIZER))
 
 
+def op3_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op4_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substring_dedup.repeats(table(spark, sf_dir, "documents"), digest=True)
 
@@ -33,6 +37,25 @@ def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.histogram(token_counts.lengths(docs, tokenizer_file(BYTE_TOKENIZER), public_tokenizers.PATTERN))
 
 
+def op7_piece_transducer(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return piece_transducer.encode(table(spark, sf_dir, "documents"), tokenizer_file(PIECE_MODEL))
+
+
+def op9_secret_ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return secret_ledger.digest(secret_ledger.Ledger(spark).scan(docs).findings(docs))
+
+
+OP3_SQL = """
+with i as (select item_id, regexp_extract_all(lower(text), '[\\p{L}\\p{N}]+') w from benchmark),
+isg as (select distinct item_id, list_slice(w, k, k + 4) g from (select item_id, w, unnest(range(1, len(w) - 3)) k from i)),
+n as (select item_id, count(*) n_item from isg group by item_id),
+d as (select doc_id, regexp_extract_all(lower(text), '[\\p{L}\\p{N}]+') w from documents),
+dsg as (select distinct doc_id, list_slice(w, k, k + 4) g from (select doc_id, w, unnest(range(1, len(w) - 3)) k from d)),
+s as (select doc_id, item_id, count(*) n_shared from dsg join isg using (g) group by doc_id, item_id)
+select doc_id, item_id, n_item, n_shared, n_shared / n_item containment from s join n using (item_id) where n_shared >= 0.8 * n_item - 1e-9
+"""
+
 OP4_SQL = """
 with w as (select doc_id, regexp_extract_all(coalesce(text, ''), '[^ \\t\\n\\x0B\\f\\r]+') ws from documents),
 p as (select doc_id, ws, unnest(range(1, len(ws) - 11)) i from w),
@@ -46,8 +69,9 @@ select w.doc_id, cast(len(ws) as bigint) n_words, coalesce(n, 0) n_removed, sha2
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op1_token_files": op1_token_files, "op4_substring_dedup": op4_substring_dedup, "op6_token_counts": op6_token_counts}
+    found = (op1_token_files, op3_decontaminate, op4_substring_dedup, op6_token_counts, op7_piece_transducer, op9_secret_ledger)
+    return {f.__name__: f for f in found}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_substring_dedup": OP4_SQL}
+    return {"op3_decontaminate": OP3_SQL, "op4_substring_dedup": OP4_SQL}
