@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from ruleweave.llm import decontaminate, piece_transducer, secret_ledger, substring_dedup, token_counts, token_files
+from ruleweave.llm import decontaminate, near_dedup, piece_transducer, secret_ledger, substring_dedup, token_counts, token_files
 from ruleweave.llm.common import table
 
 TOKENIZER, BYTE_TOKENIZER, PIECE_MODEL = "word_bpe_49k.json", "byte_bpe_50k.tiktoken", "piece_bpe_32k.model"
@@ -46,6 +46,10 @@ def op9_secret_ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secret_ledger.digest(secret_ledger.Ledger(spark).scan(docs).findings(docs))
 
 
+def op10_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dedup.classes(table(spark, sf_dir, "documents"))
+
+
 OP3_SQL = """
 with i as (select item_id, regexp_extract_all(lower(text), '[\\p{L}\\p{N}]+') w from benchmark),
 isg as (select distinct item_id, list_slice(w, k, k + 4) g from (select item_id, w, unnest(range(1, len(w) - 3)) k from i)),
@@ -69,7 +73,7 @@ select w.doc_id, cast(len(ws) as bigint) n_words, coalesce(n, 0) n_removed, sha2
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = (op1_token_files, op3_decontaminate, op4_substring_dedup, op6_token_counts, op7_piece_transducer, op9_secret_ledger)
+    found = (op1_token_files, op3_decontaminate, op4_substring_dedup, op6_token_counts, op7_piece_transducer, op9_secret_ledger, op10_near_dedup)
     return {f.__name__: f for f in found}
 
 
