@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from ruleweave.llm import decontaminate, near_dedup, piece_transducer, secret_ledger, substring_dedup, token_counts, token_files
+from ruleweave.llm import decontaminate, near_dedup, piece_transducer, prefix_forest, secret_ledger, substring_dedup, token_counts, token_files
 from ruleweave.llm.common import table
 
 TOKENIZER, BYTE_TOKENIZER, PIECE_MODEL = "word_bpe_49k.json", "byte_bpe_50k.tiktoken", "piece_bpe_32k.model"
@@ -22,6 +22,10 @@ def op1_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files.encode_write_read(table(spark, sf_dir, "documents"), tokenizer_file(TOKENIZER))
 
 
+def op2_prefix_forest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return prefix_forest.neighbours(table(spark, sf_dir, "embeddings"))
+
+
 def op3_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
@@ -73,7 +77,7 @@ select w.doc_id, cast(len(ws) as bigint) n_words, coalesce(n, 0) n_removed, sha2
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = (op1_token_files, op3_decontaminate, op4_substring_dedup, op6_token_counts, op7_piece_transducer, op9_secret_ledger, op10_near_dedup)
+    found = (op1_token_files, op2_prefix_forest, op3_decontaminate, op4_substring_dedup, op6_token_counts, op7_piece_transducer, op9_secret_ledger, op10_near_dedup)
     return {f.__name__: f for f in found}
 
 
