@@ -5,8 +5,9 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from ruleweave.llm import decontaminate, near_dedup, piece_transducer, prefix_forest, secret_ledger, substring_dedup, token_counts, token_files
+from ruleweave.llm import decontaminate, near_dedup, piece_transducer, prefix_forest, quality, secret_ledger, substring_dedup, token_counts, token_files
 from ruleweave.llm.common import table
 
 TOKENIZER, BYTE_TOKENIZER, PIECE_MODEL = "word_bpe_49k.json", "byte_bpe_50k.tiktoken", "piece_bpe_32k.model"
@@ -34,6 +35,12 @@ def op4_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substring_dedup.repeats(table(spark, sf_dir, "documents"), digest=True)
 
 
+def op5_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    model = quality.train(docs, table(spark, sf_dir, "labels"))
+    return quality.scores(docs, model).withColumn("predicted", F.when(F.col("score") >= 0.7, 1).otherwise(0))
+
+
 def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
@@ -77,7 +84,7 @@ select w.doc_id, cast(len(ws) as bigint) n_words, coalesce(n, 0) n_removed, sha2
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = (op1_token_files, op2_prefix_forest, op3_decontaminate, op4_substring_dedup, op6_token_counts, op7_piece_transducer, op9_secret_ledger, op10_near_dedup)
+    found = (op1_token_files, op2_prefix_forest, op3_decontaminate, op4_substring_dedup, op5_quality, op6_token_counts, op7_piece_transducer, op9_secret_ledger, op10_near_dedup)
     return {f.__name__: f for f in found}
 
 
