@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ruleweave.llm import decontaminate, near_dedup, piece_transducer, prefix_forest, quality, secret_ledger, substring_dedup, token_counts, token_files
+from ruleweave.llm import decontaminate, near_dedup, page_text, piece_transducer, prefix_forest, quality, secret_ledger, substring_dedup, token_counts, token_files
 from ruleweave.llm.common import table
 
 TOKENIZER, BYTE_TOKENIZER, PIECE_MODEL = "word_bpe_49k.json", "byte_bpe_50k.tiktoken", "piece_bpe_32k.model"
@@ -52,6 +52,10 @@ def op7_piece_transducer(spark: SparkSession, sf_dir: str) -> DataFrame:
     return piece_transducer.encode(table(spark, sf_dir, "documents"), tokenizer_file(PIECE_MODEL))
 
 
+def op8_page_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return page_text.main_texts(table(spark, sf_dir, "pages"))
+
+
 def op9_secret_ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     return secret_ledger.digest(secret_ledger.Ledger(spark).scan(docs).findings(docs))
@@ -84,7 +88,7 @@ select w.doc_id, cast(len(ws) as bigint) n_words, coalesce(n, 0) n_removed, sha2
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = (op1_token_files, op2_prefix_forest, op3_decontaminate, op4_substring_dedup, op5_quality, op6_token_counts, op7_piece_transducer, op9_secret_ledger, op10_near_dedup)
+    found = (op1_token_files, op2_prefix_forest, op3_decontaminate, op4_substring_dedup, op5_quality, op6_token_counts, op7_piece_transducer, op8_page_text, op9_secret_ledger, op10_near_dedup)
     return {f.__name__: f for f in found}
 
 
