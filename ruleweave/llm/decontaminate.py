@@ -19,6 +19,7 @@ from pyspark.sql import functions as F
 WORDS = 5
 THRESHOLD = 0.8
 BROADCAST_ROWS = 500_000
+NO_ID = -(1 << 63)  # stands for a null doc_id inside
 
 
 def shingles(text: Column, words: int = WORDS, hashed: bool = True) -> Column:
@@ -46,7 +47,7 @@ def sketches(items: DataFrame, threshold: float = THRESHOLD, words: int = WORDS)
 
 def leaks(docs: DataFrame, items: DataFrame, threshold: float = THRESHOLD, words: int = WORDS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, item_id, n_item, n_shared, containment of every pair with a containment of at least the threshold."""
-    texts = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("rw_text"))
+    texts = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("doc_id"), F.col(text_col).alias("rw_text"))
     items = items.select("item_id", "text").dropDuplicates(["item_id"])
     sketch = sketches(items, threshold, words)
     own = items.select("item_id", F.explode(F.array_distinct(shingles(F.col("text"), words, hashed=False))).alias("shingle"))
@@ -58,4 +59,4 @@ def leaks(docs: DataFrame, items: DataFrame, threshold: float = THRESHOLD, words
     shared = texts.join(suspects, "doc_id").select("doc_id", "rw_items", F.explode(F.array_distinct(shingles(F.col("rw_text"), words, hashed=False))).alias("shingle"))
     shared = shared.join(held(own), "shingle").filter(F.map_contains_key("rw_items", F.col("item_id")))
     counted = shared.select("doc_id", "item_id", F.col("rw_items")[F.col("item_id")].alias("n_item"), "shingle").groupBy("doc_id", "item_id", "n_item").agg(F.count_distinct("shingle").alias("n_shared"))
-    return counted.filter(F.col("n_shared") >= threshold * F.col("n_item") - 1e-9).select("doc_id", "item_id", F.col("n_item").cast("long").alias("n_item"), "n_shared", (F.col("n_shared") / F.col("n_item")).alias("containment"))
+    return counted.filter(F.col("n_shared") >= threshold * F.col("n_item") - 1e-9).select(F.nullif("doc_id", F.lit(NO_ID)).alias("doc_id"), "item_id", F.col("n_item").cast("long").alias("n_item"), "n_shared", (F.col("n_shared") / F.col("n_item")).alias("containment"))

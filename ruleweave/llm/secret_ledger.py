@@ -138,7 +138,11 @@ def digest(findings: DataFrame) -> DataFrame:
 def masked(text: Column, rules: tuple[Rule, ...] = RULES) -> Column:
     """The text with every kept match of the rules, one after the other, replaced by MASK."""
     for rule in rules:
-        p = _sql_text(rule.pattern)
-        hits = F.zip_with(F.regexp_extract_all(text, p, F.lit(0)), F.regexp_extract_all(text, p, F.lit(rule.group)), lambda h, g, rule=rule: F.when(F.length(g) >= rule.least, MASK).otherwise(h))
-        text = F.array_join(F.zip_with(F.split(text, rule.pattern, -1), hits, lambda gap, h: F.concat(gap, F.coalesce(h, F.lit("")))), "")
+        text = _masked_by(text, rule)
     return text
+
+
+def _masked_by(text: Column, rule: Rule) -> Column:
+    p = _sql_text(rule.pattern)
+    hits = F.zip_with(F.regexp_extract_all(text, p, F.lit(0)), F.regexp_extract_all(text, p, F.lit(rule.group)), lambda h, g: F.when(F.length(g) >= rule.least, MASK).otherwise(h))
+    return F.array_join(F.zip_with(F.split(text, rule.pattern, -1), hits, lambda gap, h: F.concat(gap, F.coalesce(h, F.lit("")))), "")
