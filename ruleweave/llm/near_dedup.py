@@ -8,10 +8,10 @@ them: with L labels aligned in order, the similarity is L / (n1 + n2 - L). Label
 subsequence is a longest increasing run of positions; labels further apart than the band allows cannot be part of
 an alignment that reaches the threshold.
 
-Equal texts are one node. In a bucket (texts with a common sketch) first every text is compared with the smallest id, a
-star; links join components. Buckets that still hold several components are then compared in full across components if they
-are small; large ones are split by each further sketch (a similar pair agrees in some other one, too) and go through the same
-steps again. No bucket is cut, none is expanded into all its pairs, and no group of copies is expanded at all.
+Equal texts are one node. In a bucket (texts with a common sketch) every text is compared with the one that shares most sketches, a
+star; links join components. A bucket that still holds several components is decided in full, block by block, by products of
+label matrices, and gives only the links that join components. No bucket is cut, none is expanded into its pairs, and no group of
+copies is expanded at all.
 
 Texts with fewer than five words have one label, all their words. Null texts count as empty; texts without words are copies of each
 other. The class id is the smallest doc_id of the class. Null doc_ids stand for the smallest integer.
@@ -31,7 +31,7 @@ from ruleweave.llm.textnum import U, Words, encoded, mix
 
 WORDS, THRESHOLD = 5, 0.8
 SKETCHES, KEPT = 24, 4
-SMALL, LEVELS = 32, 4
+BLOCK, COLUMNS = 256, 4096
 SALTS = 8
 NO_ID = -(1 << 63)
 _SEEDS = mix(np.arange(1, 4096, dtype=U)) | U(1)
@@ -175,47 +175,97 @@ def components(edges: DataFrame) -> DataFrame:
     return heads.select(F.col("u").alias("id"), "component").unionByName(heads.select("component").distinct().select(F.col("component").alias("id"), "component"))
 
 
-def links(nodes: DataFrame, texts: DataFrame, threshold: float = THRESHOLD, small: int = SMALL, levels: int = LEVELS) -> DataFrame:
+def links(nodes: DataFrame, texts: DataFrame, threshold: float = THRESHOLD, block: int = BLOCK) -> DataFrame:
     """Verified links (a, b) between different texts that connect every class: nodes has id, n, sketches; texts has id, text."""
     keyed = nodes.select("id", "n", F.posexplode("sketches").alias("at", "s")).select("id", "n", F.xxhash64("at", "s").alias("key"))
-    found = None
-    parts = None
-    for level in range(levels + 1):
-        shared = keyed.groupBy("key").agg(F.count("*").alias("size"), F.min("id").alias("a")).filter("size > 1")
-        members = keyed.join(shared, "key")
-        star = members.filter(F.col("id") != F.col("a")).select("a", F.col("id").alias("b"))
-        if parts is not None:
-            star = _across(star, parts)
-        new = checkpointed(verified(star.distinct(), texts, threshold))
-        found = new if found is None else found.unionByName(new)
-        parts = checkpointed(components(found))
-        # what a bucket still holds apart: its components, and all its texts
-        members = members.select("key", "id", "n", "size").join(parts, "id", "left").withColumn("component", F.coalesce("component", "id"))
-        mixed = members.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo <> hi").select("key")
-        members = checkpointed(members.join(mixed, "key"))
-        last = level == levels
-        few = members if last else members.filter(F.col("size") <= small)
-        left, right = few.alias("l"), few.alias("r")
-        near = F.least("l.n", "r.n") >= threshold * F.greatest("l.n", "r.n") - 1e-9  # shorter ones can't reach the threshold
-        pairs = left.join(right, (F.col("l.key") == F.col("r.key")) & (F.col("l.id") < F.col("r.id")) & (F.col("l.component") != F.col("r.component")) & near)
-        new = checkpointed(verified(pairs.select(F.col("l.id").alias("a"), F.col("r.id").alias("b")).distinct(), texts, threshold))
-        found = checkpointed(found.unionByName(new))
-        if last:
-            break
-        many = members.filter(F.col("size") > small)
-        if many.isEmpty():
-            break
-        parts = checkpointed(components(found))
-        keyed = many.select("key", "id").join(nodes, "id").select("id", "n", "key", F.posexplode("sketches").alias("at", "s"))
-        keyed = checkpointed(keyed.select("id", "n", F.xxhash64("key", "at", "s").alias("key")).distinct())
-    return found
+    shared = keyed.groupBy("key").agg(F.count("*").alias("size")).filter("size > 1")
+    members = checkpointed(keyed.join(shared, "key"))
+    texts = staged(texts.join(members.select("id").distinct(), "id", "left_semi"))  # those that stand in a bucket at all
+    # the centre of a star is the text that shares most sketches: what others were copied from, and the same in most of its buckets
+    wide = members.join(members.groupBy("id").agg(F.sum("size").alias("weight")), "id")
+    centres = wide.groupBy("key").agg(F.max(F.struct("weight", (-F.col("id")).alias("minus"))).alias("top")).select("key", (-F.col("top.minus")).alias("a"))
+    star = members.join(centres, "key").filter("id <> a").select(F.least("a", "id").alias("a"), F.greatest("a", "id").alias("b")).distinct()
+    stars = checkpointed(verified(star, texts, threshold))
+    parts = checkpointed(components(stars))
+    # buckets of three or more that still hold several components
+    apart = members.filter("size > 2").join(parts, "id", "left").withColumn("component", F.coalesce("component", "id"))
+    mixed = apart.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo <> hi").select("key")
+    apart = checkpointed(apart.join(mixed, "key").select("key", "id", "component", "size"))
+    return stars.unionByName(solved(apart, texts, threshold, block))
+
+
+def solved(apart: DataFrame, texts: DataFrame, threshold: float = THRESHOLD, block: int = BLOCK) -> DataFrame:
+    """Links across components inside buckets (key, id, component, size): every pair of a bucket is decided, none is emitted unless it joins.
+
+    A bucket falls into blocks of about `block` texts, and a task has one pair of blocks. The number of common labels of all
+    its pairs comes from products of label matrices; pairs that have enough of them, most first, are aligned unless they are
+    joined already.
+    """
+
+    def mark(batches):
+        for batch in batches:
+            raw = encoded(batch["text"].to_pylist())
+            out = []
+            for text in raw:
+                words = Words([text])
+                out.append(labels(words, words.hashes(), 0).tobytes())
+            yield pa.RecordBatch.from_arrays([batch["id"], pa.array(out, pa.binary())], ["id", "labels"])
+
+    def solve(key: tuple[pa.Scalar, ...], group: pa.Table) -> pa.Table:
+        left, right = key[1].as_py(), key[2].as_py()
+        ids, component, side = (group[c].to_pylist() for c in ("id", "component", "own"))
+        marks = [np.frombuffer(x, U) for x in group["labels"].to_pylist()]
+        pairs = joining(ids, component, marks, None if left == right else np.array(side) == left, threshold)
+        return pa.table({"a": pa.array([a for a, _ in pairs], pa.int64()), "b": pa.array([b for _, b in pairs], pa.int64())})
+
+    wanted = texts.join(apart.select("id").distinct(), "id", "left_semi").select("id", "text").mapInArrow(mark, "id long, labels binary")
+    n_blocks = F.ceil(F.col("size") / block)
+    own = F.pmod(F.xxhash64("id"), n_blocks)
+    pairs_of = F.transform(F.sequence(F.lit(0).cast("long"), n_blocks - 1), lambda x: F.struct(F.least(x, F.col("own")).alias("i"), F.greatest(x, F.col("own")).alias("j")))
+    spread = apart.withColumn("own", own).withColumn("pair", F.explode(pairs_of)).select("key", "id", "component", "own", F.col("pair.i").alias("i"), F.col("pair.j").alias("j"))
+    return spread.join(wanted, "id").groupBy("key", "i", "j").applyInArrow(solve, "a long, b long")
 
 
-def _across(pairs: DataFrame, parts: DataFrame) -> DataFrame:
-    """The pairs whose ends are in different components."""
-    a, b = parts.select(F.col("id").alias("a"), F.col("component").alias("rw_a")), parts.select(F.col("id").alias("b"), F.col("component").alias("rw_b"))
-    joined = pairs.join(a, "a", "left").join(b, "b", "left")
-    return joined.filter(F.coalesce("rw_a", "a") != F.coalesce("rw_b", "b")).select("a", "b")
+def joining(ids: list[int], component: list[int], marks: list[np.ndarray], left: np.ndarray | None, threshold: float = THRESHOLD) -> list[tuple[int, int]]:
+    """Pairs of texts of different components that reach the threshold, as many as it takes to join what they join. left: the texts of the left block; pairs inside a block are another task's."""
+    sizes = np.array([len(m) for m in marks])
+    _, columns = np.unique(np.concatenate(marks) if marks else np.empty(0, U), return_inverse=True)
+    rows = np.repeat(np.arange(len(marks)), sizes)
+    times = np.bincount(columns)
+    often = times[columns] > 1
+    rows, columns = rows[often], columns[often]
+    order = np.argsort(columns, kind="stable")
+    rows, columns = rows[order], columns[order]
+    common = np.zeros((len(marks), len(marks)), np.float32)
+    at = 0
+    while at < len(columns):
+        end = int(np.searchsorted(columns, columns[at] + COLUMNS))
+        part = np.zeros((len(marks), COLUMNS), np.float32)
+        part[rows[at:end], columns[at:end] - columns[at]] = 1
+        common += part @ part.T
+        at = end
+    enough = np.triu(common >= threshold * (sizes[:, None] + sizes) / (1 + threshold) - 1e-6, 1)
+    kinds = np.array(component)
+    enough &= kinds[:, None] != kinds
+    if left is not None:
+        enough &= left[:, None] != left
+    i, j = np.nonzero(enough)
+    parent = {c: c for c in component}
+
+    def root(c):
+        while parent[c] != c:
+            parent[c] = parent[parent[c]]
+            c = parent[c]
+        return c
+
+    out = []
+    for k in np.argsort(-common[i, j] / (sizes[i] + sizes[j]), kind="stable"):
+        a, b = int(i[k]), int(j[k])
+        ra, rb = root(component[a]), root(component[b])
+        if ra != rb and aligned(marks[a], marks[b], threshold) >= threshold - 1e-9:
+            parent[ra] = rb
+            out.append((ids[a], ids[b]))
+    return out
 
 
 def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD) -> DataFrame:
