@@ -16,6 +16,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ruleweave.llm.common import checkpointed
+
 RUN = 4096
 
 
@@ -48,6 +50,7 @@ def histogram(lengths: DataFrame, run: int = RUN) -> DataFrame:
     """For each distinct n_tokens: n_docs, sum_tokens; docs_from and tokens_from (documents of this length or longer);
     truncated_total (tokens left if every text is cut to n_tokens) and share_to (share of documents up to this length)."""
     counts = lengths.groupBy("n_tokens").agg(F.count("*").alias("n_docs")).withColumn("sum_tokens", F.col("n_tokens") * F.col("n_docs")).withColumn("rw_run", F.floor(F.col("n_tokens") / run))
+    counts = checkpointed(counts)  # read three times below; a row for each distinct length
     runs = counts.groupBy("rw_run").agg(F.sum("n_docs").alias("rw_docs"), F.sum("sum_tokens").alias("rw_tokens"))
     later = runs.alias("a").join(runs.alias("b"), F.col("b.rw_run") > F.col("a.rw_run"), "left").groupBy("a.rw_run").agg(F.coalesce(F.sum("b.rw_docs"), F.lit(0)).alias("rw_docs"), F.coalesce(F.sum("b.rw_tokens"), F.lit(0)).alias("rw_tokens"))
     total = runs.agg(F.sum("rw_docs").alias("rw_all"), F.sum("rw_tokens").alias("rw_all_tokens"))
