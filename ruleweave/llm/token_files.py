@@ -14,6 +14,7 @@ order of their ids. An empty table makes a file without blocks.
 
 from __future__ import annotations
 
+import json
 import zlib
 
 import numpy as np
@@ -23,45 +24,147 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ruleweave.llm.common import shared_dir, shuffle_width, staged
-from ruleweave.llm.textnum import encoded
+from ruleweave.llm.textnum import Words, encoded
 
 BLOCK_TOKENS = 1 << 16
-CACHE_WORDS = 300_000
+CACHE_WORDS, JOINED, CHUNK_BYTES = 1_500_000, 256, 2 << 20
 SHARD_BYTES = 128 << 20
+# How the public word-level file normalises and splits.
+SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+NORMALIZER = {"type": "Sequence", "normalizers": [{"type": "NFC"}, {"type": "Replace", "pattern": {"Regex": "\\s+"}, "content": " "}, {"type": "Lowercase"}]}
+_SIGN_KINDS = np.full(256, 3, np.uint8)  # letters 1, digits 2, other signs 3, uncertain 4
+_SIGN_KINDS[[*range(65, 91), *range(97, 123)]] = 1
+_SIGN_KINDS[48:58] = 2
+_SIGN_KINDS[[0x27, 0x3C, *range(0x00, 0x20), *range(0x7F, 0x100)]] = 4
+_LATIN_TAIL = np.zeros(256, bool)
+_LATIN_TAIL[0x80:0xC0] = True
+_LATIN_TAIL[[0x97, 0xB7]] = False
 _LENGTHS = (np.arange(256)[:, None] >> np.array([0, 2, 4, 6]) & 3) + 1
 
 
 class WordEncoder:
-    """Ids of texts by a tokenizers file whose tokens never cross ASCII blanks: each distinct word is encoded once while it stays cached.
+    """Ids of texts by a tokenizers file whose tokens never cross ASCII blanks: a word is encoded when it is not in the cache.
 
-    Two generations of at most CACHE_WORDS words bound the memory; a word used since the last turnover survives it.
+    The cache is a few arrays: words by two 64-bit hashes, and their ids end to end. It holds at most CACHE_WORDS words; beyond that,
+    those not used lately go. New words are encoded many in one text. If the file splits words like SPLIT after lower-casing and marks
+    each part's last token (end_of_word_suffix), the marks tell which ids are whose, since the number of parts of words of plain
+    letters, digits and signs is counted here; other words are encoded one by one.
     """
 
     def __init__(self, path: str, dtype: str = "<u4"):
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.dtype = Tokenizer.from_file(path), dtype
-        self.new: dict[bytes, bytes] = {}
-        self.old: dict[bytes, bytes] = {}
+        self.tokenizer, self.dtype = Tokenizer.from_file(path), np.dtype(dtype)
+        with open(path, encoding="utf-8") as f:
+            model = json.load(f)
+        suffix = model["model"].get("end_of_word_suffix")
+        splits = [x.get("pattern", {}).get("Regex") for x in (model["pre_tokenizer"] or {}).get("pretokenizers", [])]
+        self.marked = bool(suffix) and model["normalizer"] == NORMALIZER and SPLIT in splits
+        self.is_end = np.zeros(self.tokenizer.get_vocab_size(), bool)
+        if self.marked:
+            self.is_end[[i for token, i in self.tokenizer.get_vocab().items() if token.endswith(suffix)]] = True
+        self.keys, self.keys2 = np.empty(0, np.uint64), np.empty(0, np.uint64)
+        self.start, self.size, self.used = np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0, np.int64)
+        self.ids, self.clock = np.empty(0, self.dtype), 0
 
     def encode(self, texts: list[bytes]) -> list[bytes]:
-        out = []
-        for text in texts:
-            words = text.split()
-            distinct = set(words)
-            missing = distinct.difference(self.new)
-            if len(self.new) + len(missing) > CACHE_WORDS:
-                self.old, self.new, missing = self.new, {}, distinct
-            if missing:
-                self._learn(missing)
-            out.append(b"".join(map(self.new.__getitem__, words)))
+        out, at = [], 0
+        while at < len(texts):
+            end, size = at, 0
+            while end < len(texts) and (end == at or size + len(texts[end]) <= CHUNK_BYTES):
+                size += len(texts[end])
+                end += 1
+            out += self._chunk(texts[at:end])
+            at = end
         return out
 
-    def _learn(self, missing: set[bytes]) -> None:
-        fresh = [w for w in missing if w not in self.old]
-        self.new.update((w, self.old[w]) for w in missing if w in self.old)
-        for w, e in zip(fresh, self.tokenizer.encode_batch_fast([w.decode() for w in fresh], add_special_tokens=False), strict=True):
-            self.new[w] = np.array(e.ids, self.dtype).tobytes()
+    def _chunk(self, texts: list[bytes]) -> list[bytes]:
+        words = Words(texts)
+        h, h2 = words.hashes(), words.hashes(seed=1)
+        distinct, first, inverse = np.unique(h, return_index=True, return_inverse=True)
+        if not (h2[first][inverse] == h2).all():  # two words with one hash: too rare to be fast
+            return [b"".join(self._singly(t.split())) for t in texts]
+        second = h2[first]
+        at = np.searchsorted(self.keys, distinct)
+        known = at < len(self.keys)
+        known[known] = (self.keys[at[known]] == distinct[known]) & (self.keys2[at[known]] == second[known])
+        self.clock += 1
+        self.used[at[known]] = self.clock
+        if not known.all():
+            new = np.flatnonzero(~known)
+            raw = words.buf.tobytes()
+            fresh = [raw[a:b] for a, b in zip(words.starts[first[new]].tolist(), words.ends[first[new]].tolist(), strict=True)]
+            self._insert(distinct[new], second[new], self._together(fresh))
+            at = np.searchsorted(self.keys, distinct)
+        start, size = self.start[at][inverse], self.size[at][inverse]
+        ends = np.concatenate([[0], np.cumsum(size)])
+        flat = self.ids[np.repeat(start - ends[:-1], size) + np.arange(ends[-1])].tobytes()
+        cuts = (ends[words.first] * self.dtype.itemsize).tolist()
+        return [flat[a:b] for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
+
+    def _insert(self, keys: np.ndarray, keys2: np.ndarray, encoded_words: list[np.ndarray]) -> None:
+        if len(self.keys) + len(keys) > CACHE_WORDS:
+            kept = np.flatnonzero(self.used >= np.sort(self.used)[-min(len(self.used), CACHE_WORDS // 2)])
+            kept = kept[self.used[kept] == self.clock] if len(kept) + len(keys) > CACHE_WORDS else kept
+            ends = np.cumsum(self.size[kept])
+            self.ids = self.ids[np.repeat(self.start[kept] - ends + self.size[kept], self.size[kept]) + np.arange(ends[-1] if len(ends) else 0)]
+            self.keys, self.keys2, self.used, self.size = self.keys[kept], self.keys2[kept], self.used[kept], self.size[kept]
+            self.start = ends - self.size
+        sizes = np.array([len(x) for x in encoded_words], np.int64)
+        starts = len(self.ids) + np.cumsum(sizes) - sizes
+        self.ids = np.concatenate([self.ids, *encoded_words])
+        # a key of equal first hash gives way to the new word
+        at = np.searchsorted(self.keys, keys)
+        same = at < len(self.keys)
+        same[same] = self.keys[at[same]] == keys[same]
+        stay = np.ones(len(self.keys), bool)
+        stay[at[same]] = False
+        merged = np.concatenate([self.keys[stay], keys])
+        order = np.argsort(merged, kind="stable")
+        self.keys = merged[order]
+        self.keys2 = np.concatenate([self.keys2[stay], keys2])[order]
+        self.start = np.concatenate([self.start[stay], starts])[order]
+        self.size = np.concatenate([self.size[stay], sizes])[order]
+        self.used = np.concatenate([self.used[stay], np.full(len(keys), self.clock)])[order]
+
+    def _singly(self, words: list[bytes]) -> list[bytes]:
+        return [np.array(e.ids, self.dtype).tobytes() for e in self.tokenizer.encode_batch_fast([w.decode() for w in words], add_special_tokens=False)]
+
+    def _together(self, words: list[bytes]) -> list[np.ndarray]:
+        """Ids of each word."""
+        out: list[np.ndarray] = [None] * len(words)
+        parts, plain = self._parts(words) if self.marked else (np.zeros(len(words), np.int64), np.zeros(len(words), bool))
+        easy, hard = np.flatnonzero(plain), np.flatnonzero(~plain).tolist()
+        groups = [easy[k : k + JOINED] for k in range(0, len(easy), JOINED)]
+        texts = [" ".join([words[k].decode() for k in g.tolist()]) for g in groups]
+        for g, e in zip(groups, self.tokenizer.encode_batch_fast(texts, add_special_tokens=False), strict=True):
+            ids = np.array(e.ids, self.dtype)
+            ends = np.flatnonzero(self.is_end[ids]) + 1
+            last = np.cumsum(parts[g])
+            if len(ends) != last[-1] or ends[-1] != len(ids):
+                hard += g.tolist()
+                continue
+            cuts = ends[last - 1]
+            for k, a, b in zip(g.tolist(), np.concatenate([[0], cuts[:-1]]).tolist(), cuts.tolist(), strict=True):
+                out[k] = ids[a:b]
+        for k, raw in zip(hard, self._singly([words[k] for k in hard]), strict=True):
+            out[k] = np.frombuffer(raw, self.dtype)
+        return out
+
+    @staticmethod
+    def _parts(words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """How many parts SPLIT makes of each word, and whether that is certain: ASCII without quotes and '<', and the letters of Latin-1."""
+        sizes = np.array([len(w) for w in words], np.int64)
+        buf = np.frombuffer(b"".join(words) + b"\0", np.uint8)
+        kind = _SIGN_KINDS[buf]
+        lead = np.flatnonzero(buf[:-1] == 0xC3)
+        letter = lead[_LATIN_TAIL[buf[lead + 1]]]
+        kind[letter] = kind[letter + 1] = 1
+        first = np.cumsum(sizes) - sizes
+        turn = np.ones(len(buf), bool)
+        turn[1:] = (kind[1:] != kind[:-1]) | (kind[1:] == 2)
+        turn[first] = True
+        return np.add.reduceat(turn[:-1].astype(np.int64), first), np.maximum.reduceat(kind[:-1], first) < 4
 
 
 _ENCODERS: dict[tuple[str, str], WordEncoder] = {}
