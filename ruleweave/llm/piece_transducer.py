@@ -28,10 +28,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 BLANK = "▁"
-CACHE_WORDS, CACHE_PAIRS = 200_000, 2_000_000
+CACHE_WORDS, CACHE_PAIRS = 150_000, 1_000_000
 NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 NEVER = 1 << 60
-ONE = (1,)
 
 
 def _fields(raw: bytes):
@@ -70,7 +69,8 @@ class Machines:
     left: list[int]
     right: list[int]
     byte_ids: list[int]
-    lengths: dict[str, list[int]]
+    trie: dict
+    inner: set[str]
     runs: dict[int, int]
     follow: dict[int, bool] = field(default_factory=dict)
 
@@ -100,25 +100,53 @@ class Machines:
                 before, b = rank[b] + 1, self.left[b]
 
     def path(self, word: str) -> list[int]:
-        """Ids on the shortest path of one word (no U+2581 but at its start)."""
-        n, lexicon, follow, follows, lengths = len(word), self.lexicon, self.follow, self.follows, self.lengths
-        last: list[int] = [-2] * (n + 1)  # -2: the start, or byte fallback; any piece may follow
-        for end in range(1, n + 1):
-            for size in lengths.get(word[end - 2 : end] if end > 1 else word[:1], ONE):
-                if size <= end and (piece := lexicon.get(word[end - size : end])) is not None:
-                    before = last[end - size]
-                    if before < 0 or ((known := follow.get(before << 32 | piece)) is None and follows(before, piece)) or known:
-                        last[end] = piece
-                        break
+        """Ids on the only finite path of a word whose neighbouring characters all occur in pieces (see cut).
+
+        Arcs are tried longest first from each state. A position from which no path goes on is left and not entered again: a prefix
+        has one last piece, so how it was reached does not matter.
+        """
+        n, trie, follow, follows = len(word), self.trie, self.follow, self.follows
         out: list[int] = []
-        while n:
-            if last[n] >= 0:
-                out.append(last[n])
-                n -= len(self.pieces[last[n]])
+        open_arcs: list[list[tuple[int, int]]] = []
+        dead: set[int] = set()
+        pos, before, arcs = 0, -1, None
+        while pos < n:
+            if arcs is None:
+                arcs, node = [], trie
+                for end in range(pos, n):
+                    node = node.get(word[end])
+                    if node is None:
+                        break
+                    piece = node.get("")
+                    if piece is not None:
+                        arcs.append((end + 1, piece))
+            while arcs:
+                end, piece = arcs[-1]
+                if end not in dead and (before < 0 or ((known := follow.get(before << 32 | piece)) is None and follows(before, piece)) or known):
+                    break
+                arcs.pop()
+            if arcs:
+                out.append(piece)
+                open_arcs.append(arcs)
+                pos, before, arcs = end, piece, None
+            elif not out:
+                return [self.byte_ids[x] for x in word.encode()]  # a character that no piece has
             else:
-                out.extend(self.byte_ids[x] for x in reversed(word[n - 1].encode()))
-                n -= 1
-        out.reverse()
+                dead.add(pos)
+                pos -= len(self.pieces[out.pop()])
+                arcs = open_arcs.pop()
+                arcs.pop()
+                before = out[-1] if out else -1
+        return out
+
+    def cut(self, word: str) -> list[str]:
+        """The word cut between neighbours that no piece holds together."""
+        inner, start, out = self.inner, 0, []
+        for at in range(1, len(word)):
+            if word[at - 1 : at + 1] not in inner:
+                out.append(word[start:at])
+                start = at
+        out.append(word[start:])
         return out
 
     def run(self, n: int) -> list[int]:
@@ -132,7 +160,7 @@ class Machines:
 
     def blanks_and_word(self, n: int, word: str) -> list[int]:
         """n blanks, then a word: the last blank may join the word."""
-        ids = self.path(BLANK + word) if word else []
+        ids = [k for part in self.cut(BLANK + word) for k in self.path(part)] if word else []
         single = self.lexicon[BLANK]
         if ids and ids[0] != single:
             return self.run(n - 1) + ids
@@ -180,11 +208,14 @@ def compile_model(path: str) -> Machines:
             dead.append(k)
     for k in dead:  # no merging makes them
         del lexicon[pieces[k]]
-    lengths: dict[str, set[int]] = {}
-    for p in lexicon:
-        if len(p) > 1:
-            lengths.setdefault(p[-2:], {1}).add(len(p))
-    return Machines(pieces, lexicon, rank, left, right, byte_ids, {end: sorted(sizes, reverse=True) for end, sizes in lengths.items()}, runs)
+    trie: dict = {}
+    for piece, k in lexicon.items():
+        node = trie
+        for char in piece:
+            node = node.setdefault(char, {})
+        node[""] = k
+    inner = {p[k : k + 2] for p in lexicon for k in range(len(p) - 1)}
+    return Machines(pieces, lexicon, rank, left, right, byte_ids, trie, inner, runs)
 
 
 class Codec:
@@ -195,6 +226,8 @@ class Codec:
         self.splits_lines = not any("\n" in p for p in machines.lexicon)
         self.new: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
+        self.parts: dict[str, list[int]] = {}
+        self.old_parts: dict[str, list[int]] = {}
         self.plain = [p.replace(BLANK, " ").encode() for p in machines.pieces]
         for byte, k in enumerate(machines.byte_ids):
             self.plain[k] = bytes([byte])
@@ -230,7 +263,16 @@ class Codec:
         n = len(word) - len(word.lstrip(BLANK))
         if n and (n > 1 or n == len(word)):
             return self.m.blanks_and_word(n, word[n:])
-        return self.m.path(word)
+        parts = self.m.cut(word)
+        return self._part(parts[0]) if len(parts) == 1 else [k for part in parts for k in self._part(part)]
+
+    def _part(self, part: str) -> list[int]:
+        ids = self.parts.get(part)
+        if ids is None:
+            if len(self.parts) >= CACHE_WORDS:
+                self.old_parts, self.parts = self.parts, {}
+            ids = self.parts[part] = self.old_parts.get(part) or self.m.path(part)
+        return ids
 
     def _with_runs(self, line: str):
         first, *rest = line.split(" ")
