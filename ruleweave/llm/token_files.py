@@ -103,9 +103,10 @@ class WordEncoder:
         return [flat[a:b] for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
 
     def _insert(self, keys: np.ndarray, keys2: np.ndarray, encoded_words: list[np.ndarray]) -> None:
-        if len(self.keys) + len(keys) > CACHE_WORDS:
-            kept = np.flatnonzero(self.used >= np.sort(self.used)[-min(len(self.used), CACHE_WORDS // 2)])
-            kept = kept[self.used[kept] == self.clock] if len(kept) + len(keys) > CACHE_WORDS else kept
+        if len(self.keys) and len(self.keys) + len(keys) > CACHE_WORDS:
+            kept = np.flatnonzero(self.used >= np.sort(self.used)[-min(len(self.used), max(1, CACHE_WORDS // 2))])
+            if len(kept) + len(keys) > CACHE_WORDS:  # only what the present texts need
+                kept = np.flatnonzero(self.used == self.clock)
             ends = np.cumsum(self.size[kept])
             self.ids = self.ids[np.repeat(self.start[kept] - ends + self.size[kept], self.size[kept]) + np.arange(ends[-1] if len(ends) else 0)]
             self.keys, self.keys2, self.used, self.size = self.keys[kept], self.keys2[kept], self.used[kept], self.size[kept]
