@@ -67,7 +67,8 @@ def _matches(text: Column, rule: Rule, number: int) -> Column:
 def spans(blobs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
     """blob, rule (kind), start, end of every kept match in the column text of blobs (blob, text, todo: the rules to apply)."""
     text = F.col("text")
-    found = blobs.select("blob", F.monotonically_increasing_id().alias("rw_row"), F.posexplode(F.concat(*[F.when(F.array_contains("todo", r.kind), _matches(text, r, k)).otherwise(F.array().cast("array<struct<rule:int,gap:int,size:int,kept:boolean>>")) for k, r in enumerate(rules)])).alias("at", "m"))
+    found = blobs.withColumn("rw_row", F.monotonically_increasing_id())  # before the matches become rows of their own
+    found = found.select("blob", "rw_row", F.posexplode(F.concat(*[F.when(F.array_contains("todo", r.kind), _matches(text, r, k)).otherwise(F.array().cast("array<struct<rule:int,gap:int,size:int,kept:boolean>>")) for k, r in enumerate(rules)])).alias("at", "m"))
     found = found.select("blob", "rw_row", "at", "m.*").filter(F.col("size").isNotNull())
     upto = Window.partitionBy("rw_row", "rule").orderBy("at").rowsBetween(Window.unboundedPreceding, 0)
     found = found.withColumn("end", F.sum(F.col("gap") + F.col("size")).over(upto)).filter("kept")
@@ -138,10 +139,15 @@ def digest(findings: DataFrame) -> DataFrame:
 def masked(text: Column, rules: tuple[Rule, ...] = RULES) -> Column:
     """The text with every kept match of the rules, one after the other, replaced by MASK."""
     for rule in rules:
-        text = _masked_by(text, rule)
+        # named once, as the only element of an array, so that a rule's result is not computed anew wherever the next one uses it
+        text = F.get(F.transform(F.array(text), _masker(rule)), 0)
     return text
 
 
+def _masker(rule: Rule):
+    return lambda t: _masked_by(t, rule)
+
+
 def _masked_by(text: Column, rule: Rule) -> Column:
     p = _sql_text(rule.pattern)
     hits = F.zip_with(F.regexp_extract_all(text, p, F.lit(0)), F.regexp_extract_all(text, p, F.lit(rule.group)), lambda h, g: F.when(F.length(g) >= rule.least, MASK).otherwise(h))
