@@ -44,6 +44,13 @@ def text_bytes(df: DataFrame, col: str = "text") -> int:
     return df.agg(F.sum(F.octet_length(col))).first()[0] or 0
 
 
+def small_batches(spark: SparkSession, rows: int = 1000) -> None:
+    """Arrow batches of at most `rows` rows in this session (a runtime setting): texts are long, and a worker holds a batch several times over."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(key)) <= rows:
+        spark.conf.set(key, str(rows))
+
+
 def group_count(total_bytes: int) -> int:
     """Number of groups of documents: about 8 MB of text each while the corpus is small, up to 256 MB when it is huge.
 

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ruleweave.llm.common import checkpointed, staged
+from ruleweave.llm.common import checkpointed, small_batches, staged
 from ruleweave.llm.textnum import U, Words, encoded, mix
 
 WORDS, THRESHOLD = 5, 0.8
@@ -110,9 +110,9 @@ def sketched(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", sk
         for batch in batches:
             raw = encoded(batch["rw_text"].to_pylist())
             at = 0
-            while at < len(raw):  # a few megabytes at a time
+            while at < len(raw):  # about a megabyte at a time
                 end, size = at, 0
-                while end < len(raw) and (end == at or size + len(raw[end]) <= 4 << 20):
+                while end < len(raw) and (end == at or size + len(raw[end]) <= 1 << 20):
                     size += len(raw[end])
                     end += 1
                 part = raw[at:end]
@@ -129,6 +129,7 @@ def sketched(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", sk
                 yield pa.RecordBatch.from_arrays([batch["id"].slice(at, end - at), pa.array([r[0] for r in rows]), pa.array([r[1] for r in rows], pa.int32()), pa.array([r[2] for r in rows], pa.list_(pa.int64()))], ["id", "copy", "n", "sketches"])
                 at = end
 
+    small_batches(docs.sparkSession)
     narrow = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("id"), F.col(text_col).alias("rw_text"))
     return narrow.mapInArrow(run, "id long, copy string, n int, sketches array<long>")
 

@@ -23,13 +23,15 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ruleweave.llm.common import small_batches
 from ruleweave.llm.textnum import U, Words, encoded, mix
 
 BUCKETS, DIMENSIONS, NONZERO = 1 << 14, 64, 4
 MAX_LABELLED = 12_000
+SHAPES = 1 << 10
 HELD_OUT = 2
 BLOCK_ROWS = 512
-CHUNK_BYTES = 2 << 20
+CHUNK_BYTES = 4 << 20
 _KIND = np.full(256, 3, np.uint8)
 _KIND[[9, 10, 11, 12, 13, 32]] = 0
 _KIND[[*range(65, 91), *range(97, 123), *range(128, 256)]] = 1
@@ -68,7 +70,19 @@ class Tokens(Words):
         repeated = np.zeros(len(seen), bool)
         repeated[order[1:]] = seen[order[1:]] == seen[order[:-1]]
         again[at[repeated]] += 2
-        self.shape = (mix((shape * 4 + again + (1 << 32)).astype(U)) % U(BUCKETS)).astype(np.int64)
+        self.shape = shape * 4 + again  # below SHAPES
+
+
+def shape_buckets() -> np.ndarray:
+    """The bucket of each shape."""
+    return (mix(np.arange(SHAPES, dtype=U) + U(1 << 32)) % U(BUCKETS)).astype(np.int64)
+
+
+def dense_index_vectors() -> np.ndarray:
+    places, signs = index_vectors()
+    out = np.zeros((BUCKETS, DIMENSIONS))
+    np.put_along_axis(out, places, signs, axis=1)
+    return out
 
 
 def index_vectors(buckets: int = BUCKETS, dimensions: int = DIMENSIONS, nonzero: int = NONZERO) -> tuple[np.ndarray, np.ndarray]:
@@ -78,6 +92,14 @@ def index_vectors(buckets: int = BUCKETS, dimensions: int = DIMENSIONS, nonzero:
     return (h % U(part)).astype(np.int64) + np.arange(nonzero) * part, np.where(h >> U(63), 1, -1)
 
 
+def _texts(column: pa.Array):
+    """The column's texts as UTF-8, some megabytes at a time."""
+    for at in range(0, len(column), 512):
+        texts = encoded(column.slice(at, 512).to_pylist())
+        for a, b in _chunks(texts):
+            yield texts[a:b]
+
+
 def _chunks(texts: list[bytes]):
     at = 0
     while at < len(texts):
@@ -91,24 +113,24 @@ def _chunks(texts: list[bytes]):
 
 def context_sums(docs: DataFrame, text_col: str = "text", reach: int = 2) -> np.ndarray:
     """For each bucket, the sum of the index vectors of its neighbours over all texts (buckets x dimensions integers, a fixed size)."""
+    small_batches(docs.sparkSession)
     cells = BUCKETS * DIMENSIONS
 
     def count(batches):
         places, signs = index_vectors()
-        total = np.zeros(cells, np.int64)
+        total, shapes = np.zeros(cells), np.zeros(SHAPES * SHAPES)
         for batch in batches:
-            texts = encoded(batch[0].to_pylist())
-            for a, b in _chunks(texts):
-                tokens = Tokens(texts[a:b])
-                for bucket in (tokens.bucket, tokens.shape):
-                    for gap in range(1, reach + 1):
-                        same = tokens.text_of[gap:] == tokens.text_of[:-gap]
-                        left, right = bucket[:-gap][same], bucket[gap:][same]
-                        for k in range(NONZERO):
-                            for here, there in ((left, right), (right, left)):
-                                cell, sign = here * DIMENSIONS + places[there, k], signs[there, k]
-                                total += np.bincount(cell[sign > 0], minlength=cells)
-                                total -= np.bincount(cell[sign < 0], minlength=cells)
+            for texts in _texts(batch[0]):
+                tokens = Tokens(texts)
+                for gap in range(1, reach + 1):
+                    same = tokens.text_of[gap:] == tokens.text_of[:-gap]
+                    left, right = tokens.bucket[:-gap][same], tokens.bucket[gap:][same]
+                    for here, there in ((left, right), (right, left)):
+                        cell = (here[:, None] * DIMENSIONS + places[there]).ravel()
+                        total += np.bincount(cell, signs[there].ravel(), cells)  # whole numbers, so exact
+                    shapes += np.bincount(tokens.shape[:-gap][same] * SHAPES + tokens.shape[gap:][same], minlength=SHAPES * SHAPES)
+        beside = shapes.reshape(SHAPES, SHAPES)
+        np.add.at(total.reshape(BUCKETS, DIMENSIONS), shape_buckets(), (beside + beside.T) @ dense_index_vectors()[shape_buckets()])
         blocks = total.astype("<i4").reshape(-1, BLOCK_ROWS * DIMENSIONS)
         yield pa.RecordBatch.from_arrays([pa.array(range(len(blocks)), pa.int32()), pa.array([x.tobytes() for x in blocks], pa.binary())], ["block", "sums"])
 
@@ -126,9 +148,7 @@ def context_sums(docs: DataFrame, text_col: str = "text", reach: int = 2) -> np.
 
 
 def word_vectors(sums: np.ndarray) -> np.ndarray:
-    places, signs = index_vectors()
-    own = np.zeros((BUCKETS, DIMENSIONS))
-    np.put_along_axis(own, places, signs / np.sqrt(NONZERO), axis=1)
+    own = dense_index_vectors() / np.sqrt(NONZERO)
     length = np.sqrt((sums.astype(float) ** 2).sum(axis=1, keepdims=True))
     return (own + sums / np.maximum(1, length)).astype(np.float32)
 
@@ -143,14 +163,16 @@ def pooled(texts: list[bytes], vectors: np.ndarray) -> np.ndarray:
         if not len(some):
             continue
         n = tokens.counts[some][:, None]
-        step = 1 << 16
-        for part, bucket in enumerate((tokens.bucket, tokens.shape)):
-            sums = np.zeros((b - a, DIMENSIONS), np.float64)
-            for k in range(0, len(bucket), step):  # a bounded number of rows of word vectors at once
-                here = tokens.text_of[k : k + step]
-                edge = np.flatnonzero(np.diff(here, prepend=-1))
-                sums[here[edge]] += np.add.reduceat(vectors[bucket[k : k + step]], edge, axis=0)
-            out[a + some, part * DIMENSIONS : (part + 1) * DIMENSIONS] = sums[some] / n
+        step, sums = 1 << 16, np.zeros((b - a, DIMENSIONS))
+        for k in range(0, len(tokens.bucket), step):  # a bounded number of rows of word vectors at once
+            here = tokens.text_of[k : k + step]
+            edge = np.flatnonzero(np.diff(here, prepend=-1))
+            sums[here[edge]] += np.add.reduceat(vectors[tokens.bucket[k : k + step]], edge, axis=0)
+        out[a + some, :DIMENSIONS] = sums[some] / n
+        for k in range(0, b - a, 256):  # there are few shapes, so they are counted first
+            lo, hi = tokens.first[k], tokens.first[min(k + 256, b - a)]
+            counts = np.bincount((tokens.text_of[lo:hi] - k) * SHAPES + tokens.shape[lo:hi], minlength=min(256, b - a - k) * SHAPES).reshape(-1, SHAPES)
+            out[a + k : a + k + len(counts), DIMENSIONS:-1] = (counts @ vectors[shape_buckets()].astype(float)) / np.maximum(1, tokens.counts[k : k + len(counts)])[:, None]
     return out
 
 
@@ -241,11 +263,12 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
 
 def scores(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, held_out and score of every row."""
+    small_batches(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)  # buckets x dimensions numbers and a small network
 
     def run(batches):
         for batch in batches:
-            s = shared.value.score(encoded(batch["rw_text"].to_pylist()))
+            s = np.concatenate([shared.value.score(texts) for texts in _texts(batch["rw_text"])] or [np.empty(0)])
             yield pa.RecordBatch.from_arrays([batch["doc_id"], batch["held_out"], pa.array(s, pa.float64())], ["doc_id", "held_out", "score"])
 
     narrow = docs.select(F.col(id_col).cast("long").alias("doc_id"), held_out(F.col(id_col)).alias("held_out"), F.col(text_col).alias("rw_text"))
@@ -254,12 +277,13 @@ def scores(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str
 
 def scored(docs: DataFrame, model: Model, text_col: str = "text", out: str = "rw_score") -> DataFrame:
     """docs with a score column; all other columns stay as they are."""
+    small_batches(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     @F.pandas_udf("double")
     def score(texts):
         import pandas as pd
 
-        return pd.Series(shared.value.score(encoded(texts.tolist())))
+        return pd.Series(np.concatenate([shared.value.score(encoded(texts.iloc[at : at + 512].tolist())) for at in range(0, len(texts), 512)] or [np.empty(0)]))
 
     return docs.withColumn(out, score(F.coalesce(F.col(text_col), F.lit(""))))
