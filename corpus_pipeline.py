@@ -22,8 +22,8 @@ ORACLE_SQL = None
 
 def _matching(docs: DataFrame, ids: DataFrame, how: str) -> DataFrame:
     """docs whose doc_id is (left_semi) or is not (left_anti) in ids; null is an id like others."""
-    other = ids.select(F.col("doc_id").alias("rw_id")).distinct()
-    return docs.join(other, F.col("doc_id").eqNullSafe(F.col("rw_id")), how)
+    other = ids.select("doc_id").distinct()
+    return docs.join(other, docs["doc_id"].eqNullSafe(other["doc_id"]), how)
 
 
 def quality_classifier(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -50,12 +50,17 @@ def benchmark_decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str)
 def secret_masking(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Masks the secrets that the ledger finds; n_chars follows the text."""
     found = secret_ledger.Ledger(spark).scan(docs).findings(docs).filter(F.size("found") > 0)
-    flagged = found.select(F.col("doc_id").alias("rw_id"), F.lit(True).alias("rw_flag")).distinct()
-    joined = docs.join(flagged, F.col("doc_id").eqNullSafe(F.col("rw_id")), "left")
-    joined = joined.withColumn("text", F.when(F.col("rw_flag"), secret_ledger.masked(F.col("text"))).otherwise(F.col("text")))
-    if "n_chars" in docs.columns:
-        joined = joined.withColumn("n_chars", F.when(F.col("rw_flag"), F.length("text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars")))
-    return joined.select(docs.columns)
+    flagged = found.select(F.col("doc_id"), F.lit(True).alias("flag")).distinct()
+    has, columns = flagged["flag"].isNotNull(), []
+    text = F.when(has, secret_ledger.masked(docs["text"])).otherwise(docs["text"])
+    for name, kind in docs.dtypes:
+        if name == "text":
+            columns.append(text.alias(name))
+        elif name == "n_chars":
+            columns.append(F.when(has, F.length(text).cast(kind)).otherwise(docs[name]).alias(name))
+        else:
+            columns.append(docs[name])
+    return docs.join(flagged, docs["doc_id"].eqNullSafe(flagged["doc_id"]), "left").select(columns)
 
 
 def piece_encoding(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
