@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ruleweave.llm.common import checkpointed, small_batches, staged
+from ruleweave.llm.common import checkpointed, lean, small_batches, staged
 from ruleweave.llm.textnum import U, Words, encoded, mix
 
 WORDS, THRESHOLD = 5, 0.8
@@ -131,7 +131,7 @@ def sketched(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", sk
 
     small_batches(docs.sparkSession)
     narrow = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("id"), F.col(text_col).alias("rw_text"))
-    return narrow.mapInArrow(run, "id long, copy string, n int, sketches array<long>")
+    return narrow.mapInArrow(lean(run), "id long, copy string, n int, sketches array<long>")
 
 
 def verified(pairs: DataFrame, texts: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
@@ -154,7 +154,7 @@ def verified(pairs: DataFrame, texts: DataFrame, threshold: float = THRESHOLD) -
 
     held = texts.select(F.col("id").alias("a"), F.col("text").alias("text_a"))
     other = texts.select(F.col("id").alias("b"), F.col("text").alias("text_b"))
-    return pairs.select("a", "b").join(other, "b").join(held, "a").mapInArrow(run, "a long, b long")
+    return pairs.select("a", "b").join(other, "b").join(held, "a").mapInArrow(lean(run), "a long, b long")
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -219,7 +219,7 @@ def solved(apart: DataFrame, texts: DataFrame, threshold: float = THRESHOLD, blo
         pairs = joining(ids, component, marks, None if left == right else np.array(side) == left, threshold)
         return pa.table({"a": pa.array([a for a, _ in pairs], pa.int64()), "b": pa.array([b for _, b in pairs], pa.int64())})
 
-    wanted = texts.join(apart.select("id").distinct(), "id", "left_semi").select("id", "text").mapInArrow(mark, "id long, labels binary")
+    wanted = texts.join(apart.select("id").distinct(), "id", "left_semi").select("id", "text").mapInArrow(lean(mark), "id long, labels binary")
     n_blocks = F.ceil(F.col("size") / block)
     own = F.pmod(F.xxhash64("id"), n_blocks)
     pairs_of = F.transform(F.sequence(F.lit(0).cast("long"), n_blocks - 1), lambda x: F.struct(F.least(x, F.col("own")).alias("i"), F.greatest(x, F.col("own")).alias("j")))

@@ -27,8 +27,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ruleweave.llm.common import lean, small_batches
+
 BLANK = "▁"
-CACHE_WORDS, CACHE_PAIRS = 150_000, 1_000_000
+CACHE_WORDS, CACHE_PAIRS = 100_000, 600_000
 NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 NEVER = 1 << 60
 
@@ -305,6 +307,7 @@ def codec(machines, key: int) -> Codec:
 
 def encode(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row a document: doc_id, n_ids, ids, ids_crc32 (of little-endian 4-byte ids) and decoded_ok (decoding gave the text back)."""
+    small_batches(docs.sparkSession)
     machines = docs.sparkSession.sparkContext.broadcast(compile_model(model_path))  # bounded by the vocabulary
     key = hash(model_path)
 
@@ -320,7 +323,7 @@ def encode(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_col: s
             ids = pa.ListArray.from_arrays(pa.array(sizes, pa.int32()), pa.array(np.frombuffer(b"".join(packed), "<i4")))
             yield pa.RecordBatch.from_arrays([batch["doc_id"], pa.array(np.diff(sizes), pa.int64()), ids, pa.array([zlib.crc32(r) for r in packed], pa.int64()), pa.array(ok, pa.bool_())], ["doc_id", "n_ids", "ids", "ids_crc32", "decoded_ok"])
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("rw_text")).mapInArrow(run, "doc_id long, n_ids long, ids array<int>, ids_crc32 long, decoded_ok boolean")
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("rw_text")).mapInArrow(lean(run), "doc_id long, n_ids long, ids array<int>, ids_crc32 long, decoded_ok boolean")
 
 
 def decode(ids: DataFrame, model_path: str, id_col: str = "doc_id", ids_col: str = "ids") -> DataFrame:
@@ -334,4 +337,4 @@ def decode(ids: DataFrame, model_path: str, id_col: str = "doc_id", ids_col: str
             texts = [c.decode(np.array(x or [], np.int64)) for x in batch["rw_ids"].to_pylist()]
             yield pa.RecordBatch.from_arrays([batch["doc_id"], pa.array(texts, pa.string())], ["doc_id", "text"])
 
-    return ids.select(F.col(id_col).cast("long").alias("doc_id"), F.col(ids_col).alias("rw_ids")).mapInArrow(run, "doc_id long, text string")
+    return ids.select(F.col(id_col).cast("long").alias("doc_id"), F.col(ids_col).alias("rw_ids")).mapInArrow(lean(run), "doc_id long, text string")

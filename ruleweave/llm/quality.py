@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ruleweave.llm.common import small_batches
+from ruleweave.llm.common import lean, small_batches
 from ruleweave.llm.textnum import U, Words, encoded, mix
 
 BUCKETS, DIMENSIONS, NONZERO = 1 << 14, 64, 4
@@ -140,7 +140,7 @@ def context_sums(docs: DataFrame, text_col: str = "text", reach: int = 2) -> np.
             total += np.frombuffer(raw.as_py(), "<i4")
         return pa.table({"block": pa.array([key[0].as_py()], pa.int32()), "sums": pa.array([total.astype("<i8").tobytes()], pa.binary())})
 
-    rows = docs.select(F.col(text_col).alias("rw_text")).mapInArrow(count, "block int, sums binary").groupBy("block").applyInArrow(add, "block int, sums binary").collect()  # buckets x dimensions numbers
+    rows = docs.select(F.col(text_col).alias("rw_text")).mapInArrow(lean(count), "block int, sums binary").groupBy("block").applyInArrow(add, "block int, sums binary").collect()  # buckets x dimensions numbers
     out = np.zeros((BUCKETS // BLOCK_ROWS, BLOCK_ROWS * DIMENSIONS), np.int64)
     for r in rows:
         out[r.block] = np.frombuffer(r.sums, "<i8")
@@ -256,7 +256,7 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
             x = pooled(encoded(batch["rw_text"].to_pylist()), shared.value)
             yield pa.RecordBatch.from_arrays([batch["id"], batch["y"], pa.array([r.tobytes() for r in x], pa.binary())], ["id", "y", "x"])
 
-    got = sorted(rows.mapInArrow(features, "id long, y int, x binary").collect(), key=lambda r: (r.id, bytes(r.x)))
+    got = sorted(rows.mapInArrow(lean(features), "id long, y int, x binary").collect(), key=lambda r: (r.id, bytes(r.x)))
     x = np.frombuffer(b"".join(bytes(r.x) for r in got), np.float32).reshape(len(got), 2 * DIMENSIONS + 1)
     return Model(vectors, fit(x, np.array([r.y for r in got], float)))
 
@@ -272,7 +272,7 @@ def scores(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str
             yield pa.RecordBatch.from_arrays([batch["doc_id"], batch["held_out"], pa.array(s, pa.float64())], ["doc_id", "held_out", "score"])
 
     narrow = docs.select(F.col(id_col).cast("long").alias("doc_id"), held_out(F.col(id_col)).alias("held_out"), F.col(text_col).alias("rw_text"))
-    return narrow.mapInArrow(run, "doc_id long, held_out boolean, score double")
+    return narrow.mapInArrow(lean(run), "doc_id long, held_out boolean, score double")
 
 
 def scored(docs: DataFrame, model: Model, text_col: str = "text", out: str = "rw_score") -> DataFrame:
@@ -280,10 +280,8 @@ def scored(docs: DataFrame, model: Model, text_col: str = "text", out: str = "rw
     small_batches(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
-    @F.pandas_udf("double")
-    def score(texts):
-        import pandas as pd
-
-        return pd.Series(np.concatenate([shared.value.score(encoded(texts.iloc[at : at + 512].tolist())) for at in range(0, len(texts), 512)] or [np.empty(0)]))
+    @F.arrow_udf("double")
+    def score(texts: pa.Array) -> pa.Array:
+        return pa.array(np.concatenate([shared.value.score(part) for part in _texts(texts)] or [np.empty(0)]), pa.float64())
 
     return docs.withColumn(out, score(F.coalesce(F.col(text_col), F.lit(""))))
