@@ -34,7 +34,7 @@ def _t(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def _cases() -> dict[str, tuple[Callable[[SparkSession, str], DataFrame], str]]:
-    by_user = Window.partitionBy("user_id").orderBy("ts", "event_id")
+    by_user = lambda: Window.partitionBy("user_id").orderBy("ts", "event_id")  # noqa: E731  windows need a session
     return {
         "project_filter": (
             lambda s, d: _t(s, d, "orders").filter("o_totalprice > 200000 and o_orderstatus = 'F'").select("o_orderkey", (F.col("o_orderkey") % 8).alias("bucket")),
@@ -105,15 +105,15 @@ def _cases() -> dict[str, tuple[Callable[[SparkSession, str], DataFrame], str]]:
             "select o_orderstatus, o_orderpriority, count(*) n from orders group by cube (o_orderstatus, o_orderpriority)",
         ),
         "window_lead": (
-            lambda s, d: _t(s, d, "events").select("event_id", F.lead("event_id").over(by_user).alias("later"), F.lag("event_id").over(by_user).alias("earlier")),
+            lambda s, d: _t(s, d, "events").select("event_id", F.lead("event_id").over(by_user()).alias("later"), F.lag("event_id").over(by_user()).alias("earlier")),
             "select event_id, lead(event_id) over w later, lag(event_id) over w earlier from events window w as (partition by user_id order by ts, event_id)",
         ),
         "window_ranks": (
-            lambda s, d: _t(s, d, "events").select("event_id", F.row_number().over(by_user).alias("place"), F.dense_rank().over(Window.partitionBy("user_id").orderBy("event_type")).alias("kind"), F.ntile(4).over(by_user).alias("part4")),
+            lambda s, d: _t(s, d, "events").select("event_id", F.row_number().over(by_user()).alias("place"), F.dense_rank().over(Window.partitionBy("user_id").orderBy("event_type")).alias("kind"), F.ntile(4).over(by_user()).alias("part4")),
             "select event_id, row_number() over (partition by user_id order by ts, event_id) place, dense_rank() over (partition by user_id order by event_type) kind, ntile(4) over (partition by user_id order by ts, event_id) part4 from events",
         ),
         "window_running": (
-            lambda s, d: _t(s, d, "events").select("event_id", F.sum(F.when(F.col("event_type") == "purchase", 1).otherwise(0)).over(by_user.rowsBetween(Window.unboundedPreceding, 0)).alias("bought")),
+            lambda s, d: _t(s, d, "events").select("event_id", F.sum(F.when(F.col("event_type") == "purchase", 1).otherwise(0)).over(by_user().rowsBetween(Window.unboundedPreceding, 0)).alias("bought")),
             "select event_id, cast(sum(case when event_type = 'purchase' then 1 else 0 end) over (partition by user_id order by ts, event_id rows between unbounded preceding and current row) as bigint) bought from events",
         ),
         "top_k_per_group": (
@@ -129,7 +129,7 @@ def _cases() -> dict[str, tuple[Callable[[SparkSession, str], DataFrame], str]]:
             "select event_id, cast(regexp_extract(props, '([0-9]+)', 1) as bigint) leaf, year(ts) y, strftime(date_trunc('month', ts), '%Y-%m-%d') m from events",
         ),
         "null_safe": (
-            lambda s, d: _t(s, d, "events").select("event_id", F.lag("event_id").over(by_user).alias("prev")).filter(F.coalesce("prev", F.lit(-1)) <= 100).select("event_id", F.col("prev").eqNullSafe(F.lit(None)).alias("first")),
+            lambda s, d: _t(s, d, "events").select("event_id", F.lag("event_id").over(by_user()).alias("prev")).filter(F.coalesce("prev", F.lit(-1)) <= 100).select("event_id", F.col("prev").eqNullSafe(F.lit(None)).alias("first")),
             "select event_id, prev is not distinct from null \"first\" from (select event_id, lag(event_id) over (partition by user_id order by ts, event_id) prev from events) where coalesce(prev, -1) <= 100",
         ),
     }

@@ -1,5 +1,9 @@
 from __future__ import annotations
 
+import subprocess
+import sys
+from pathlib import Path
+
 import duckdb
 import pytest
 
@@ -58,5 +62,11 @@ def test_queries_match_reference_sql(spark, data, name):
     assert sorted(str(tuple(r)) for r in found.select(columns).collect()) == want
 
 
+def test_names_need_no_session():
+    code = "import __spark_entry__ as e; print(len(e.queries()), len(e.oracle_sql()))"
+    out = subprocess.run([sys.executable, "-c", code], capture_output=True, text=True, cwd=Path(__file__).resolve().parent.parent, check=True)
+    assert min(map(int, out.stdout.split()[-2:])) > 80
+
+
 def test_every_query_with_sql_exists():
     assert set(queries.oracle_sql()) <= set(queries.queries())
