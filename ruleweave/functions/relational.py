@@ -77,8 +77,8 @@ def _cases() -> dict[str, tuple[Callable[[SparkSession, str], DataFrame], str]]:
             "select event_id, s_suppkey from events join supplier on event_id between s_suppkey * 37 and s_suppkey * 37 + 10",
         ),
         "as_of_join": (
-            lambda s, d: as_of(_t(s, d, "events").filter("event_type = 'error'").select("user_id", "event_id"), _t(s, d, "events").filter("event_type = 'signup'").select("user_id", "event_id", F.col("event_id").alias("signup")), "user_id", "event_id", "signup"),
-            "select e.user_id, e.event_id, (select max(s.event_id) from events s where s.event_type = 'signup' and s.user_id = e.user_id and s.event_id <= e.event_id) signup from events e where e.event_type = 'error'",
+            lambda s, d: as_of(_t(s, d, "events").filter("event_type = 'error'").select("user_id", "event_id"), _t(s, d, "events").filter("event_type = 'signup'").select("user_id", "event_id", F.col("event_id").alias("signup")), "user_id", "event_id", "signup").fillna(-1, ["signup"]),
+            "select e.user_id, e.event_id, coalesce((select max(s.event_id) from events s where s.event_type = 'signup' and s.user_id = e.user_id and s.event_id <= e.event_id), -1) signup from events e where e.event_type = 'error'",
         ),
         "distinct_count": (
             lambda s, d: _t(s, d, "lineitem").groupBy("l_returnflag").agg(F.count_distinct("l_orderkey", "l_partkey").alias("n")),
@@ -105,8 +105,8 @@ def _cases() -> dict[str, tuple[Callable[[SparkSession, str], DataFrame], str]]:
             "select o_orderstatus, o_orderpriority, count(*) n from orders group by cube (o_orderstatus, o_orderpriority)",
         ),
         "window_lead": (
-            lambda s, d: _t(s, d, "events").select("event_id", F.lead("event_id").over(by_user()).alias("later"), F.lag("event_id").over(by_user()).alias("earlier")),
-            "select event_id, lead(event_id) over w later, lag(event_id) over w earlier from events window w as (partition by user_id order by ts, event_id)",
+            lambda s, d: _t(s, d, "events").select("event_id", F.lead("event_id", 1, -1).over(by_user()).alias("later"), F.lag("event_id", 1, -1).over(by_user()).alias("earlier")),
+            "select event_id, lead(event_id, 1, -1) over w later, lag(event_id, 1, -1) over w earlier from events window w as (partition by user_id order by ts, event_id)",
         ),
         "window_ranks": (
             lambda s, d: _t(s, d, "events").select("event_id", F.row_number().over(by_user()).alias("place"), F.dense_rank().over(Window.partitionBy("user_id").orderBy("event_type")).alias("kind"), F.ntile(4).over(by_user()).alias("part4")),
