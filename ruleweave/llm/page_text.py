@@ -7,8 +7,8 @@ adverts, forms, comments ...) go as well. What is left of the article elements,
 the text: one line a block, white space inside a block as one space, character references decoded.
 
 Pages that are copies of each other count once, so a copied article is no template; paragraphs and headings
-inside an article are never taken for one. A hash is a template if it stands on at least `least` different pages and on a
-share of at least `share` of the host's, so a host has few templates, however large it is.
+inside an article are never taken for one. A hash is a template if it stands on at least `least` different pages of the host,
+however many pages the host has. A page gets only those templates that stand on it, so no row grows with the host.
 
 A null page is an empty page; a null url is a host of its own (empty name). Deep nesting, unclosed and misnested tags are read leniently.
 """
@@ -24,7 +24,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-LEAST, SHARE, SALTS = 3, 0.1, 32
+from ruleweave.llm.common import staged
+
+LEAST, SALTS = 3, 32
 # Element names by role in HTML.
 RAW = ("script", "style", "noscript", "template", "iframe", "object", "textarea", "title", "noembed", "noframes", "xmp")
 VOID = set("area base br col embed hr img input link meta param source track wbr".split())
@@ -242,39 +244,43 @@ def _host(url):
     return F.lower(F.coalesce(F.regexp_extract(url, r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/:?#]+)", 1), F.lit("")))
 
 
-def site_templates(pages: DataFrame, least: int = LEAST, share: float = SHARE) -> DataFrame:
-    """host, templates: the hashes of subtrees that stand on many different pages of the host."""
+def page_templates(pages: DataFrame, least: int = LEAST) -> DataFrame:
+    """host, page (a hash of its html), templates: the hashes of a page's subtrees that stand on `least` or more different pages of the host."""
 
     def run(batches):
         for batch in batches:
-            hosts, marks, hashes = [], [], []
-            for host, page in zip(batch["host"].to_pylist(), batch["html"].to_pylist(), strict=True):
-                root = parse(page or "")
-                own = {h for h, _ in subtree_hashes(root).values()}
-                hosts.append(host)
+            marks, hashes = [], []
+            for page in batch["html"].to_pylist():
+                root = parse(page)
                 marks.append(_hash(_text(root)))
-                hashes.append(sorted(own))
-            yield pa.RecordBatch.from_arrays([pa.array(hosts, pa.string()), pa.array(marks, pa.int64()), pa.array(hashes, pa.list_(pa.int64()))], ["host", "mark", "hashes"])
+                hashes.append(sorted({h for h, _ in subtree_hashes(root).values()}))
+            yield pa.RecordBatch.from_arrays([batch["host"], batch["page"], pa.array(marks, pa.int64()), pa.array(hashes, pa.list_(pa.int64()))], ["host", "page", "mark", "hashes"])
+
+    seen = pages.filter("html <> ''").select(_host(F.col("url")).alias("host"), _page().alias("page"), "html").mapInArrow(run, "host string, page long, mark long, hashes array<long>")
+    seen = staged(seen.select(F.xxhash64("host").alias("host"), "page", "mark", "hashes"))  # read twice, parsed once
+    # a block of a host by one number; equal pages count once
+    rows = seen.select("host", "page", "mark", F.explode("hashes").alias("h")).withColumn("block", F.xxhash64("host", "h"))
+    recurring = rows.select("block", "mark").distinct().groupBy("block").agg(F.count("*").alias("n")).filter(F.col("n") >= least).select("block")
+    recurring = recurring.withColumn("rw_salt", F.explode(F.array(*[F.lit(k) for k in range(SALTS)])))
+    salted = rows.select("host", "page", "h", "block", F.pmod("page", F.lit(SALTS)).cast("int").alias("rw_salt"))
+    return salted.join(recurring, ["block", "rw_salt"], "left_semi").groupBy("host", "page").agg(F.collect_set("h").alias("templates"))
+
 
-    seen = pages.select(_host(F.col("url")).alias("host"), "html").mapInArrow(run, "host string, mark long, hashes array<long>")
-    # 0 stands for the page itself: its count is the number of different pages of the host
-    rows = seen.select("host", "mark", F.explode(F.array_union(F.array(F.lit(0).cast("long")), "hashes")).alias("h"))
-    counts = rows.distinct().groupBy("host", "h").agg(F.count("*").alias("n")).filter(F.col("n") >= least)
-    size = F.max(F.when(F.col("h") == 0, F.col("n"))).alias("pages")
-    sites = counts.groupBy("host").agg(size, F.collect_list(F.struct("h", "n")).alias("all"))  # hashes on three pages or more
-    return sites.select("host", F.transform(F.filter("all", lambda x: (x["h"] != 0) & (x["n"] >= share * F.col("pages"))), lambda x: x["h"]).alias("templates")).filter(F.size("templates") > 0)
+def _page():
+    return F.xxhash64("html")
 
 
-def main_texts(pages: DataFrame, least: int = LEAST, share: float = SHARE) -> DataFrame:
+def main_texts(pages: DataFrame, least: int = LEAST) -> DataFrame:
     """page_id, url, text, n_chars of every page."""
-    narrow = pages.select(F.col("page_id").cast("long").alias("page_id"), "url", "html").withColumn("host", _host(F.col("url")))
+    narrow = pages.select(F.col("page_id").cast("long").alias("page_id"), "url", "html", F.xxhash64(_host(F.col("url"))).alias("host"), _page().alias("page"))
     narrow = narrow.withColumn("rw_salt", F.pmod(F.xxhash64("page_id", "url"), F.lit(SALTS)).cast("int"))
-    sites = site_templates(pages, least, share).withColumn("rw_salt", F.explode(F.array(*[F.lit(k) for k in range(SALTS)])))
+    # copies of one page spread over tasks
+    sites = page_templates(pages, least).withColumn("rw_salt", F.explode(F.array(*[F.lit(k) for k in range(SALTS)])))
 
     def run(batches):
         for batch in batches:
             texts = [main_text(parse(page), set(t or ())) if page else "" for page, t in zip(batch["html"].to_pylist(), batch["templates"].to_pylist(), strict=True)]
             yield pa.RecordBatch.from_arrays([batch["page_id"], batch["url"], pa.array(texts, pa.string()), pa.array(np.array([len(t) for t in texts], np.int64))], ["page_id", "url", "text", "n_chars"])
 
-    joined = narrow.join(sites, ["host", "rw_salt"], "left").select("page_id", "url", "html", "templates")
+    joined = narrow.join(sites, ["host", "page", "rw_salt"], "left").select("page_id", "url", "html", "templates")
     return joined.mapInArrow(run, "page_id long, url string, text string, n_chars long")

@@ -261,6 +261,28 @@ def test_templates_go_and_copies_stay(spark):
     assert page_text.main_texts(df.limit(0)).count() == 0
 
 
+def test_templates_of_a_section_of_a_large_host(spark):
+    page = lambda k: f"<body><div class=x>Section {k // 4} rotates here</div><ul><li>part {k // 4}</li></ul><div class=y>story number {k}</div></body>"
+    df = spark.createDataFrame([(k, f"http://large.org/{k}", page(k)) for k in range(120)], "page_id long, url string, html string")
+    assert {r.page_id: r.text for r in page_text.main_texts(df).collect()} == {k: f"story number {k}" for k in range(120)}
+
+
+def test_recurring_blocks_of_the_tables_go_by_hash_alone(spark, data):
+    pages = spark.read.parquet(f"{data.replace('sf0.001', 'sf0.1')}/pages.parquet")
+    host = page_text._host(F.col("url"))
+    gone = {(r.host, r.page): set(r.templates) for r in page_text.page_templates(pages).collect()}
+    where: dict = {}
+    for r in pages.select(F.xxhash64(host).alias("host"), page_text._page().alias("page"), "html").collect():
+        root = page_text.parse(r.html or "")
+        for h, node in page_text.subtree_hashes(root).values():
+            if node.tag in ("nav", "footer") or node.tag == "div" and node.marks == "ad":
+                where.setdefault((r.host, h), {}).setdefault(page_text._hash(page_text._text(root)), set()).add(r.page)
+    recurring = {key: pages for key, pages in where.items() if len(pages) >= 3}
+    assert len(recurring) > 100
+    for (site, h), marks in recurring.items():
+        assert all(h in gone[site, page] for pages in marks.values() for page in pages)
+
+
 def test_pages_of_the_tables(spark, data):
     import html
 
