@@ -3,7 +3,8 @@
 A page is parsed into a tree of elements. Each block element outside paragraphs has a hash of its subtree (tag, class and text);
 Spark counts, for each host, on how many different pages a hash stands, and subtrees that recur on many of them
 are deleted as the site's template. Elements whose tag, class, id or role says that they are no article (menus, sidebars,
-adverts, forms, comments ...) go as well. What is left of the article elements, or else of the main element or the body, is
+adverts, forms, comments ...) go as well: outside articles by any word of their marks, inside by tag or, for blocks that are
+no paragraphs, by a whole class or role. Headings, paragraphs and inline elements never go by their marks. What is left of the article elements, or else of all outermost main elements or the body, is
 the text: one line a block, white space inside a block as one space, character references decoded.
 
 Pages that are copies of each other count once, so a copied article is no template; paragraphs and headings
@@ -30,30 +31,45 @@ LEAST, SALTS = 3, 32
 # Element names by role in HTML.
 RAW = ("script", "style", "noscript", "template", "iframe", "object", "textarea", "title", "noembed", "noframes", "xmp")
 VOID = set("area base br col embed hr img input link meta param source track wbr".split())
-INLINE = set("a abbr acronym b bdi bdo big br cite code data del dfn em font i img ins kbd label mark q rp rt ruby s samp small span strike strong sub sup time tt u var wbr".split())
-DROPPED = set("nav aside form script style noscript template iframe object svg math canvas button select option input textarea menu dialog head title audio video map".split())
-DROPPED_OUTSIDE = {"header", "footer"}
+INLINE = set("a abbr acronym b bdi bdo big br cite code data del dfn em font i img ins kbd label mark q rp rt ruby s samp small span strike strong sub sup time tt u var wbr math mrow mi mo mn ms mtext msup msub msubsup mfrac msqrt mroot mover munder munderover mstyle mpadded mphantom mtable mtr mtd semantics merror menclose mmultiscripts mspace".split())
+DROPPED = set("nav aside form script style noscript template iframe object canvas button select option input textarea menu dialog head title audio video map annotation annotation-xml".split())
+DROPPED_OUTSIDE = {"header", "footer", "svg"}
 HINTS = set(
     "ad ads adv advert adverts advertisement advertising adsense banner sponsor sponsored promo promotion sidebar sidebars comment comments commentlist disqus respond cookie cookies consent notice notices gdpr newsletter subscribe subscription share sharing social related recommended breadcrumb breadcrumbs menu menus nav navbar navigation pagination pager popup modal overlay widget widgets toolbar masthead complementary contentinfo alert".split()
 )
 REMARKS = set("comment comments commentlist disqus respond".split())
 HEAD_HINTS = {"header", "footer"}
+# inside an article a whole class or role counts, no part of one, and none of these, which authors give to notes of their own
+INSIDE = HINTS - {"alert", "notice", "notices"}
+HEADINGS = {"h1", "h2", "h3", "h4", "h5", "h6"}
+TEXTUAL = HEADINGS | {"p", "pre", "blockquote", "figcaption"}
 PARAGRAPHS = set("p h1 h2 h3 h4 h5 h6 pre blockquote figcaption li td th dd dt".split())
 _TAG = re.compile(r"""<!--.*?(?:-->|\Z)|<[!?][^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:[^>"']++|"[^"]*+"|'[^']*+')*+)>|<(/?)([a-zA-Z][^\s/>]*)([^>]*+)>""", re.S)
-_MARKS = re.compile(r"""(?:class|id|role)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s>]+))""", re.I)
+_MARKS = re.compile(r"""(?<![\w-])(class|id|role)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s>]+))""", re.I)
 _WORD = re.compile(r"[a-z0-9]+")
 _RAW_END = {name: re.compile(rf"</{name}(?=[\s/>]|\Z)[^>]*>?", re.I) for name in RAW}
 
 
 class Node:
-    __slots__ = ("tag", "marks", "parts", "up")
+    __slots__ = ("tag", "marks", "kinds", "parts", "up")
 
-    def __init__(self, tag: str, marks: str, up: Node | None):
-        self.tag, self.marks, self.parts, self.up = tag, marks, [], up
+    def __init__(self, tag: str, marks: str, up: Node | None, kinds: str = ""):
+        self.tag, self.marks, self.kinds, self.parts, self.up = tag, marks, kinds, [], up  # kinds: the marks without ids
 
     def hinted(self, hints: set[str]) -> bool:
         return bool(self.marks) and not hints.isdisjoint(_WORD.findall(self.marks))
 
+    def remark(self) -> bool:
+        """A whole class, id or role says that this is a comment or holds comments."""
+        return bool(self.marks) and self.tag not in ("html", "body", "main") and not REMARKS.isdisjoint(self.marks.split())
+
+    def aside(self) -> bool:
+        """A whole class or role says that this is no part of an article's text."""
+        return bool(self.kinds) and not INSIDE.isdisjoint(self.kinds.split())
+
+    def main(self) -> bool:
+        return self.tag == "main" or bool(self.marks) and "main" in self.marks.split()
+
 
 def parse(page: str) -> Node:
     """The tree of a page; texts among a node's parts are strings, not yet decoded."""
@@ -89,8 +105,8 @@ def parse(page: str) -> Node:
         elif name in ("td", "th", "tr") and opened.get("table"):
             for cell in ("td", "th") if name != "tr" else ("td", "th", "tr"):
                 here = _leave(here, opened, cell, ("table",))
-        marks = " ".join(a or b or c for a, b, c in _MARKS.findall(attributes)).lower() if attributes else ""
-        node = Node(name, marks, here)
+        found = [(kind.lower(), (a or b or c).lower()) for kind, a, b, c in _MARKS.findall(attributes)] if attributes else []
+        node = Node(name, " ".join(x for _, x in found), here, " ".join(x for kind, x in found if kind != "id"))
         here.parts.append(node)
         if name not in VOID and not attributes.rstrip().endswith("/") or name in ("p", "div") and name not in VOID:
             here = node
@@ -169,29 +185,39 @@ def main_text(root: Node, templates: set[int]) -> str:
     """The article's blocks, one line each."""
     gone = {key for key, (h, _) in subtree_hashes(root).items() if h in templates} if templates else set()
     holders: set[int] = set()
+    around_main: set[int] = set()
     articles, mains, bodies = [], [], []
-    for node, inside in _walk(root):
-        if node.tag in ("article", "main") or node.marks and "main" in node.marks.split():
+    for node, _ in _walk(root):
+        if node.main() or node.tag == "article" and not node.remark():
             up = node.up
             while up is not None:
                 holders.add(id(up))
+                if node.main():
+                    around_main.add(id(up))
                 up = up.up
         if node.tag == "body":
             bodies.append(node)
 
     def dropped(node: Node, inside: bool) -> bool:
-        if node.tag in DROPPED or id(node) in gone:
+        holder = id(node) in holders
+        if id(node) in gone:
             return True
-        if not inside and node.tag in DROPPED_OUTSIDE and id(node) not in holders:
-            return True
-        if node.hinted(REMARKS):  # also where each comment is an article of its own
-            return True
-        if not inside and id(node) in holders or node.tag in ("html", "body", "main"):
+        if node.tag in DROPPED and not (node.tag == "form" and holder):
+            return node.tag != "button" or node.up.tag not in HEADINGS  # a heading that unfolds its section
+        if node.tag in ("html", "body", "main") or node.tag in INLINE or node.tag in TEXTUAL:
             return False
-        return node.hinted(HINTS) or not inside and node.hinted(HEAD_HINTS) or inside and node.tag == "footer"
-
-    def live(start: Node, inside: bool):
-        stack = [(start, inside)]
+        if node.tag == "article":
+            return node.remark() or node.aside()
+        if id(node) in around_main or inside and node.main():
+            return False
+        if inside:
+            return node.tag == "footer" or node.tag not in PARAGRAPHS and (node.remark() or node.aside())
+        if holder:
+            return node.remark()  # where each comment is an article of its own
+        return node.tag in DROPPED_OUTSIDE or node.hinted(HINTS) or node.hinted(HEAD_HINTS)
+
+    def live(start: Node):
+        stack = [(start, False)]
         while stack:
             node, within = stack.pop()
             if dropped(node, within):
@@ -200,13 +226,13 @@ def main_text(root: Node, templates: set[int]) -> str:
             if node.tag == "article":
                 articles.append(node)
                 continue
-            if node.tag == "main" or node.marks and "main" in node.marks.split():
+            if node.main() and not within:
                 mains.append(node)
-            stack.extend((x, within or node.tag == "main") for x in reversed(node.parts) if not isinstance(x, str))
+            stack.extend((x, within or node.main()) for x in reversed(node.parts) if not isinstance(x, str))
 
-    for _ in live(root, False):
+    for _ in live(root):
         pass
-    starts = articles or mains[:1] or bodies or [root]
+    starts = articles or mains or bodies or [root]
     lines: list[str] = []
     buffer: list[str] = []
 

@@ -251,6 +251,24 @@ def test_main_text():
     assert page_text.main_text(page_text.parse(deep), set()) == "x"
 
 
+@pytest.mark.parametrize(
+    ("page", "text"),
+    [
+        ("<article><h2 id='social-history'>Social</h2><section class='related-work'>work</section><p class='alert'>care</p><div id='share-prices'>up</div></article>", "Social\nwork\ncare\nup"),
+        ("<article><pre>x <span class='hljs-comment'># note</span></pre><p>so <math><mi>a</mi><mo>=</mo><mn>1</mn></math> holds</p><svg><text>axis</text></svg></article>", "x # note\nso a=1 holds\naxis"),
+        ("<div class='comments-enabled'><article class='comment-closed has-sidebar'><p>whole</p></article></div>", "whole"),
+        ("<article data-id='ad'><section id='related'>r</section><div class='share'>gone</div><p>x</p></article>", "r\nx"),
+        ("<body class='comments'><main><p>one</p></main><div><main><p>two</p></main></div></body>", "one\ntwo"),
+        ("<body><form><article><p>in a form</p></article></form></body>", "in a form"),
+        ("<body><h2 class='related'>r</h2><p class='notice'>n</p></body>", "r\nn"),
+        ("<article><h3><button>Part one</button></h3><button>Buy</button><p>x</p></article>", "Part one\nx"),
+        ("<body><p>t</p><section id='comments'><article class='comment'>c</article></section><section class=comments><article>d</article></section></body>", "t"),
+    ],
+)
+def test_marks_inside_articles(page, text):
+    assert page_text.main_text(page_text.parse(page), set()) == text
+
+
 def test_templates_go_and_copies_stay(spark):
     page = lambda k, site: f"<body><div><span>Welcome to {site}</span></div><div>story number {k} of {site}</div></body>"
     rows = [(k, f"http://h{k % 2}.org/{k}", page(k, k % 2), "x") for k in range(12)] + [(100 + k, "http://copy.org/a", page(7, "copy"), "x") for k in range(5)] + [(200, None, None, "x"), (201, "http://h0.org", "", None)]
