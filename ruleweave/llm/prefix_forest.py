@@ -12,7 +12,8 @@ answers are merged. Equal vectors are one entry with its smallest ids (k + 1 of
 in double precision. If lengths differ, an added coordinate makes them equal for hashing (never for scoring).
 
 Vectors that are null, zero, of another dimension than most, or with null or non-finite components take no part, neither as query nor as
-candidate. Rows that repeat a vec_id are separate candidates; a query never finds its own id.
+candidate. A vec_id stands for all its different vectors: the score of two ids is the best of theirs, a row that is there twice changes
+nothing, an answer names an id once, and a query never finds its own id.
 """
 
 from __future__ import annotations
@@ -42,7 +43,10 @@ class Forest:
         keys = np.ascontiguousarray(vectors).view(np.dtype((np.void, vectors.dtype.itemsize * vectors.shape[1]))).ravel()
         _, first, inverse = np.unique(keys, return_index=True, return_inverse=True)
         order = np.lexsort((ids, inverse))
-        sizes = np.bincount(inverse)
+        again = np.flatnonzero((inverse[order][1:] == inverse[order][:-1]) & (ids[order][1:] == ids[order][:-1])) + 1
+        order = np.delete(order, again)  # a row that is there twice
+        sizes = np.bincount(inverse[order])
+        self.single_vectors = len(np.unique(ids[order])) == len(order)  # no id has several vectors
         starts = np.cumsum(sizes) - sizes
         self.members, self.starts, self.sizes = ids[order], starts, np.minimum(sizes, k + 1)
         self.vectors, self.k, self.trees, self.longest = vectors[first], k, trees, longest
@@ -120,13 +124,25 @@ class Forest:
         return at
 
     def _best(self, scores, at):
-        """Score of the (k + 1)-th best id, None while there are fewer."""
+        """Score of the (k + 1)-th best different id, None while there are fewer: k of them are not the query's own."""
         if self.sizes[at].sum() < self.k + 1:
             return None
+        if not self.single_vectors:
+            order = np.argsort(-scores, kind="stable")
+            _, first = np.unique(self._ids(at[order]), return_index=True)
+            if len(first) < self.k + 1:
+                return None
+            place = np.partition(first, self.k)[self.k]
+            return scores[order[np.searchsorted(np.cumsum(self.sizes[at[order]]), place, "right")]]
         top = np.argpartition(-scores, min(self.k + 1, len(scores)) - 1)[: self.k + 1] if len(scores) > self.k + 1 else np.arange(len(scores))
         top = top[np.argsort(-scores[top], kind="stable")]
         return scores[top[np.searchsorted(np.cumsum(self.sizes[at[top]]), self.k + 1)]]
 
+    def _ids(self, at):
+        """The ids of entries, one entry after the other."""
+        sizes = self.sizes[at]
+        return self.members[np.repeat(self.starts[at] - np.cumsum(sizes) + sizes, sizes) + np.arange(sizes.sum())]
+
     def answers(self, query_ids: np.ndarray, queries: np.ndarray, miss: float = MISS) -> pa.Table:
         """The k nearest ids of each query in this shard, without its own id; a few more if scores tie."""
         out_q, out_v, out_s = [], [], []
@@ -134,10 +150,13 @@ class Forest:
         inverse = inverse.ravel()
         for d, at in enumerate(self.search(distinct, miss)):
             exact = (self.vectors[at] * distinct[d]).sum(axis=1)  # one order of summation whatever stands beside it
-            ids = np.concatenate([self.members[s : s + n] for s, n in zip(self.starts[at], self.sizes[at], strict=True)] or [np.empty(0, np.int64)])
+            ids = self._ids(at)
             scores = np.repeat(exact, self.sizes[at])
             best = np.lexsort((ids, -scores))
             ids, scores = ids[best], scores[best]
+            if not self.single_vectors:
+                once = np.sort(np.unique(ids, return_index=True)[1])
+                ids, scores = ids[once], scores[once]
             for q in query_ids[inverse == d]:
                 other = ids != q
                 mine = ids[other][: self.k]
@@ -165,7 +184,7 @@ def neighbours(vectors: DataFrame, queries_at: int = 20, k: int = 20, trees: int
     longest = float(np.sqrt(facts.most or 1.0)) * (1 + 1e-12)
     held = v.withColumn("rw_shard", F.pmod(F.xxhash64("vec_id"), F.lit(shards)))
     # every query meets every shard, a block of queries at a time
-    asked = v.filter(F.col("vec_id") % queries_at == 0).withColumn("rw_shard", F.explode(F.sequence(F.lit(0), F.lit(shards - 1)))).withColumn("rw_shard", F.col("rw_shard").cast("long"))
+    asked = v.filter(F.col("vec_id") % queries_at == 0).distinct().withColumn("rw_shard", F.explode(F.sequence(F.lit(0), F.lit(shards - 1)))).withColumn("rw_shard", F.col("rw_shard").cast("long"))
 
     def run(key: tuple[pa.Scalar, ...], index: pa.Table, queries: pa.Table) -> pa.Table:
         if not index.num_rows or not queries.num_rows:
@@ -175,5 +194,6 @@ def neighbours(vectors: DataFrame, queries_at: int = 20, k: int = 20, trees: int
         return pa.concat_tables([forest.answers(q_ids[a : a + QUERY_BLOCK], q[a : a + QUERY_BLOCK], miss) for a in range(0, len(q_ids), QUERY_BLOCK)])
 
     found = held.groupBy("rw_shard").cogroup(asked.groupBy("rw_shard")).applyInArrow(run, "query_id long, vec_id long, score double")
+    found = found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))  # over the vectors of a query
     w = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return found.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")

@@ -115,6 +115,31 @@ def test_prefix_forest_odd_vectors(spark):
     assert prefix_forest.neighbours(v.limit(0)).count() == 0
 
 
+def test_prefix_forest_repeated_rows(spark):
+    rng = np.random.default_rng(6)
+    rows = [(k, rng.standard_normal(4).tolist()) for k in range(60)]
+    several = [(20, rng.standard_normal(4).tolist()), *[(7, [3.0 + j / 10, 1.0, 1.0, 1.0]) for j in range(12)], *[(20, [3.0 + j / 10, 2.0, 1.0, 1.0]) for j in range(12)]]
+
+    def want(table, k):
+        out = {}
+        for q in (0, 20, 40):
+            best: dict = {}
+            for i, v in table:
+                for j, w in table:
+                    if i == q and j != q:
+                        best[j] = max(best.get(j, -np.inf), float((np.array(v) * np.array(w)).sum()))
+            out[q] = sorted(best, key=lambda j: (-best[j], j))[:k]
+        return out
+
+    for table in (rows + rows[:30] * 3, rows + several):
+        df = spark.createDataFrame(table, "vec_id long, embedding array<double>")
+        for shard_rows in (100_000, 40):
+            found: dict = {}
+            for r in prefix_forest.neighbours(df, k=10, miss=0.0, shard_rows=shard_rows).orderBy("query_id", "rank").collect():
+                found.setdefault(r.query_id, []).append(r.vec_id)
+            assert found == want(table, 10)
+
+
 # --- op3
 
 
