@@ -43,8 +43,17 @@ BASE = (
     Rule("access", r"AKIA[A-Z0-9]{16,}"),
     Rule("hex", r"[0-9a-f]{24,}"),
 )
+# A private key goes to its END line, whatever stands before that except another such line. Where the line is missing, it goes to the end
+# of its base64 runs, after lines like "DEK-Info: ..."; line ends may be escaped. Runs are of 16 characters or more, but for the last.
+_GAP = r"(?:[\s>|\"'+,#*]|\\[nrt])"
+_PRIVATE_KEY = (
+    r"-----BEGIN [A-Z0-9 ]{0,40}PRIVATE KEY(?: BLOCK)?-----"
+    r"(?:[^-]*+(?:-(?!----)[^-]*+){0,200}+-----END [A-Z0-9 ]{0,40}PRIVATE KEY(?: BLOCK)?-----"
+    rf"|(?:{_GAP}{{1,40}}+[A-Z][A-Za-z-]{{2,30}}:\x20[^\s\\]++(?:\x20[^\s\\:]++(?=[\s\\])){{0,3}}?(?=[\r\n\\])){{0,8}}+"
+    rf"(?:{_GAP}{{0,40}}+[A-Za-z0-9+/]{{16,}}+={{0,2}}+){{1,4000}}+(?:{_GAP}{{1,40}}+[A-Za-z0-9+/]{{1,15}}+={{0,2}}+(?![A-Za-z0-9_:.-]))?+)?+"
+)
 ADDED = (
-    Rule("private_key", r"-----BEGIN [A-Z ]{0,40}PRIVATE KEY-----"),
+    Rule("private_key", _PRIVATE_KEY, version=2),
     Rule("web_token", r"eyJ[A-Za-z0-9_-]{10,}\.eyJ[A-Za-z0-9_-]{10,}\.[A-Za-z0-9_-]{10,}"),
     Rule("forge_token", r"gh[pousr]_[A-Za-z0-9]{36,}"),
 )
@@ -138,7 +147,7 @@ def digest(findings: DataFrame) -> DataFrame:
 
 def masked(text: Column, rules: tuple[Rule, ...] = RULES) -> Column:
     """The text with every kept match of the rules, one after the other, replaced by MASK."""
-    for rule in rules:
+    for rule in sorted(rules, key=lambda r: r.kind != "private_key"):  # whole keys before others match inside them
         # named once, as the only element of an array, so that a rule's result is not computed anew wherever the next one uses it
         text = F.get(F.transform(F.array(text), _masker(rule)), 0)
     return text

@@ -391,6 +391,25 @@ def test_masks(spark):
     assert not any(_base(t) for t in out if t)
 
 
+def test_private_keys_are_masked_whole(spark):
+    rng = np.random.default_rng(8)
+    lines = ["".join(rng.choice(list("ABCDEFGHabcdefgh0123456789+/"), 64)) for _ in range(25)] + ["Qx7/kP3a9w=="]
+    head, tail = "-----BEGIN RSA PRIVATE KEY-----", "-----END RSA PRIVATE KEY-----"
+    info = ["Proc-Type: 4,ENCRYPTED", "DEK-Info: AES-128-CBC,0A1B2C3D4E5F60718293A4B5C6D7E8F9", ""]
+    texts = []
+    for gap in ("\n", "\r\n", "\\n", " ", "\n    "):
+        texts += [gap.join(["before", head, *lines, tail, "after"]), gap.join(["before", head, *lines[:-1], lines[-1]]) + "\nafter, all", gap.join(["before", head, *info, *lines, tail, "after"])]
+    texts += ["\n".join(["before", head, *info, *lines, "", "after, all"]), f"before {head} and prose after the header", f"before {head}\n{'x-y ' * 300}after", "before " + head + "\n" + "\n".join(lines[:1] * 3000) + " after."]
+    rows = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    masked = {r.doc_id: r.m for r in rows.select("doc_id", secret_ledger.masked(F.col("text")).alias("m")).collect()}
+    spans = {r.doc_id: r.found for r in secret_ledger.Ledger(spark).scan(rows).findings(rows).collect()}
+    for k, text in enumerate(texts):
+        assert masked[k].startswith("before") and "after" in masked[k] and "KEY" not in masked[k]
+        assert not any(x in masked[k] for x in lines) and "DEK-Info" not in masked[k], (k, text[:60], masked[k][:200])
+        key = next(s for s in spans[k] if s.kind == "private_key")
+        assert all(text.rindex(x) + len(x) <= key.end for x in lines if x in text)
+
+
 # --- op10
 
 
