@@ -9,7 +9,8 @@ the text: one line a block, white space inside a block as one space, character r
 
 Pages that are copies of each other count once, so a copied article is no template; paragraphs and headings
 inside an article are never taken for one. A hash is a template if it stands on at least `least` different pages of the host,
-however many pages the host has. A page gets only those templates that stand on it, so no row grows with the host.
+however many pages the host has. A page gets only those templates that stand in its text, so no row grows with the host, and pages
+whose text has no block that could be one are done without them.
 
 A null page is an empty page; a null url is a host of its own (empty name). Deep nesting, unclosed and misnested tags are read leniently.
 """
@@ -27,7 +28,7 @@ from pyspark.sql import functions as F
 
 from ruleweave.llm.common import staged
 
-LEAST, SALTS = 3, 32
+LEAST = 3
 # Element names by role in HTML.
 RAW = ("script", "style", "noscript", "template", "iframe", "object", "textarea", "title", "noembed", "noframes", "xmp")
 VOID = set("area base br col embed hr img input link meta param source track wbr".split())
@@ -166,7 +167,7 @@ def subtree_hashes(root: Node) -> dict[int, Node]:
     """Hashes of the subtrees that may be template: block elements, but no article and, inside one, no paragraph."""
     holders: set[int] = set()
     for node, _ in _walk(root):
-        if node.tag in ("article", "main", "body", "html"):
+        if node.tag in ("article", "body", "html") or node.main():
             up = node
             while up is not None:
                 holders.add(id(up))
@@ -181,9 +182,10 @@ def subtree_hashes(root: Node) -> dict[int, Node]:
     return out
 
 
-def main_text(root: Node, templates: set[int]) -> str:
-    """The article's blocks, one line each."""
-    gone = {key for key, (h, _) in subtree_hashes(root).items() if h in templates} if templates else set()
+def main_text(root: Node, templates: set[int], asked: set[int] | None = None) -> str:
+    """The article's blocks, one line each. asked: gets the hashes of the blocks in the text that a template could delete."""
+    hashes = {key: h for key, (h, _) in subtree_hashes(root).items()} if templates or asked is not None else {}
+    gone = {key for key, h in hashes.items() if h in templates}
     holders: set[int] = set()
     around_main: set[int] = set()
     articles, mains, bodies = [], [], []
@@ -259,6 +261,8 @@ def main_text(root: Node, templates: set[int]) -> str:
             elif x.tag in INLINE:
                 stack.extend(reversed(x.parts))
             else:
+                if asked is not None and x is not start and id(x) in hashes:
+                    asked.add(hashes[id(x)])
                 flush()
                 stack.append(None)
                 stack.extend(reversed(x.parts))
@@ -271,25 +275,27 @@ def _host(url):
 
 
 def page_templates(pages: DataFrame, least: int = LEAST) -> DataFrame:
-    """host, page (a hash of its html), templates: the hashes of a page's subtrees that stand on `least` or more different pages of the host."""
+    """host, page (hashes of the host and of a page's html), templates: the hashes of blocks in its text that stand on `least` or more different pages of the host."""
 
     def run(batches):
         for batch in batches:
-            marks, hashes = [], []
+            marks, hashes, wanted = [], [], []
             for page in batch["html"].to_pylist():
-                root = parse(page)
+                root, asked = parse(page), set()
+                main_text(root, set(), asked)
                 marks.append(_hash(_text(root)))
                 hashes.append(sorted({h for h, _ in subtree_hashes(root).values()}))
-            yield pa.RecordBatch.from_arrays([batch["host"], batch["page"], pa.array(marks, pa.int64()), pa.array(hashes, pa.list_(pa.int64()))], ["host", "page", "mark", "hashes"])
+                wanted.append(sorted(asked))
+            lists = [pa.array(x, pa.list_(pa.int64())) for x in (hashes, wanted)]
+            yield pa.RecordBatch.from_arrays([batch["host"], batch["page"], pa.array(marks, pa.int64()), *lists], ["host", "page", "mark", "hashes", "asked"])
 
-    seen = pages.filter("html <> ''").select(_host(F.col("url")).alias("host"), _page().alias("page"), "html").mapInArrow(run, "host string, page long, mark long, hashes array<long>")
-    seen = staged(seen.select(F.xxhash64("host").alias("host"), "page", "mark", "hashes"))  # read twice, parsed once
-    # a block of a host by one number; equal pages count once
-    rows = seen.select("host", "page", "mark", F.explode("hashes").alias("h")).withColumn("block", F.xxhash64("host", "h"))
-    recurring = rows.select("block", "mark").distinct().groupBy("block").agg(F.count("*").alias("n")).filter(F.col("n") >= least).select("block")
-    recurring = recurring.withColumn("rw_salt", F.explode(F.array(*[F.lit(k) for k in range(SALTS)])))
-    salted = rows.select("host", "page", "h", "block", F.pmod("page", F.lit(SALTS)).cast("int").alias("rw_salt"))
-    return salted.join(recurring, ["block", "rw_salt"], "left_semi").groupBy("host", "page").agg(F.collect_set("h").alias("templates"))
+    seen = pages.filter("html <> ''").select(F.xxhash64(_host(F.col("url"))).alias("host"), _page().alias("page"), "html")
+    seen = staged(seen.mapInArrow(run, "host long, page long, mark long, hashes array<long>, asked array<long>"))  # read twice, parsed once
+    block = lambda hashes: F.explode(F.transform(hashes, lambda h: h.bitwiseXOR(F.col("host")))).alias("block")  # noqa: E731  a block of a host in one number
+    recurring = seen.select(block("hashes"), "mark").distinct().groupBy("block").agg(F.count("*").alias("n")).filter(F.col("n") >= least).select("block")
+    wanted = seen.filter(F.size("asked") > 0).select("host", "page", block("asked"))
+    found = wanted.join(recurring, "block", "left_semi")
+    return found.groupBy("host", "page").agg(F.collect_set(F.col("block").bitwiseXOR(F.col("host"))).alias("templates"))
 
 
 def _page():
@@ -298,15 +304,39 @@ def _page():
 
 def main_texts(pages: DataFrame, least: int = LEAST) -> DataFrame:
     """page_id, url, text, n_chars of every page."""
-    narrow = pages.select(F.col("page_id").cast("long").alias("page_id"), "url", "html", F.xxhash64(_host(F.col("url"))).alias("host"), _page().alias("page"))
-    narrow = narrow.withColumn("rw_salt", F.pmod(F.xxhash64("page_id", "url"), F.lit(SALTS)).cast("int"))
-    # copies of one page spread over tasks
-    sites = page_templates(pages, least).withColumn("rw_salt", F.explode(F.array(*[F.lit(k) for k in range(SALTS)])))
+    narrow = pages.select(F.col("page_id").cast("long").alias("page_id"), "url", "html")
 
-    def run(batches):
+    def written(batch, rows, texts):
+        return pa.RecordBatch.from_arrays([batch["page_id"].take(rows), batch["url"].take(rows), pa.array(texts, pa.string()), pa.array(np.array([len(t) for t in texts], np.int64))], ["page_id", "url", "text", "n_chars"])
+
+    def settled(batches):
+        for batch in batches:
+            rows, texts = [], []
+            for k, page in enumerate(batch["html"].to_pylist()):
+                asked: set[int] = set()
+                text = main_text(parse(page), set(), asked) if page else ""
+                if not asked:
+                    rows.append(k)
+                    texts.append(text)
+            yield written(batch, pa.array(rows, pa.int64()), texts)
+
+    def unsettled(batches):
+        for batch in batches:
+            rows = []
+            for k, page in enumerate(batch["html"].to_pylist()):
+                asked: set[int] = set()
+                if page:
+                    main_text(parse(page), set(), asked)
+                if asked:
+                    rows.append(k)
+            yield pa.RecordBatch.from_arrays([batch[c].take(pa.array(rows, pa.int64())) for c in ("page_id", "url", "html")], ["page_id", "url", "html"])
+
+    def cleaned(batches):
         for batch in batches:
-            texts = [main_text(parse(page), set(t or ())) if page else "" for page, t in zip(batch["html"].to_pylist(), batch["templates"].to_pylist(), strict=True)]
-            yield pa.RecordBatch.from_arrays([batch["page_id"], batch["url"], pa.array(texts, pa.string()), pa.array(np.array([len(t) for t in texts], np.int64))], ["page_id", "url", "text", "n_chars"])
+            texts = [main_text(parse(page), set(t or ())) for page, t in zip(batch["html"].to_pylist(), batch["templates"].to_pylist(), strict=True)]
+            yield written(batch, pa.array(range(len(texts)), pa.int64()), texts)
 
-    joined = narrow.join(sites, ["host", "page", "rw_salt"], "left").select("page_id", "url", "html", "templates")
-    return joined.mapInArrow(run, "page_id long, url string, text string, n_chars long")
+    result = "page_id long, url string, text string, n_chars long"
+    rest = narrow.mapInArrow(unsettled, "page_id long, url string, html string").withColumn("host", F.xxhash64(_host(F.col("url")))).withColumn("page", _page())
+    joined = rest.join(page_templates(pages, least), ["host", "page"], "left").select("page_id", "url", "html", "templates")
+    return narrow.mapInArrow(settled, result).unionByName(joined.mapInArrow(cleaned, result))

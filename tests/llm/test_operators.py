@@ -312,18 +312,21 @@ def test_templates_of_a_section_of_a_large_host(spark):
 
 def test_recurring_blocks_of_the_tables_go_by_hash_alone(spark, data):
     pages = spark.read.parquet(f"{data.replace('sf0.001', 'sf0.1')}/pages.parquet")
-    host = page_text._host(F.col("url"))
-    gone = {(r.host, r.page): set(r.templates) for r in page_text.page_templates(pages).collect()}
-    where: dict = {}
-    for r in pages.select(F.xxhash64(host).alias("host"), page_text._page().alias("page"), "html").collect():
+    # without articles and with neutral tags and classes nothing but the hash decides
+    neutral = pages.withColumn("html", F.regexp_replace(F.regexp_replace("html", "<(/?)(?:nav|footer|article)", "<$1section"), 'class="ad"', 'class="x"'))
+    on: dict = {}
+    own: dict = {}
+    for r in neutral.select("page_id", page_text._host(F.col("url")).alias("host"), "html").collect():
         root = page_text.parse(r.html or "")
-        for h, node in page_text.subtree_hashes(root).values():
-            if node.tag in ("nav", "footer") or node.tag == "div" and node.marks == "ad":
-                where.setdefault((r.host, h), {}).setdefault(page_text._hash(page_text._text(root)), set()).add(r.page)
-    recurring = {key: pages for key, pages in where.items() if len(pages) >= 3}
-    assert len(recurring) > 100
-    for (site, h), marks in recurring.items():
-        assert all(h in gone[site, page] for pages in marks.values() for page in pages)
+        for _, node in page_text.subtree_hashes(root).values():
+            if node.tag == "section" or node.marks == "x":
+                key = (r.host, node.tag, node.marks, page_text._text(node))
+                on.setdefault(key, set()).add(page_text._text(root))
+                own.setdefault(r.page_id, []).append(key)
+    assert sum(len(pages) >= 3 for pages in on.values()) > 100
+    for r in page_text.main_texts(neutral).collect():
+        lines = r.text.split("\n")
+        assert not any(len(on[key]) >= 3 and key[3] in lines for key in own[r.page_id])
 
 
 def test_pages_of_the_tables(spark, data):
