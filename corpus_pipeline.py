@@ -4,7 +4,8 @@ STAGES lists (name, function); a function takes (spark, docs, sf_dir) and return
 read again as the next stage's docs. All but the last return the columns they get. ORACLE_SQL is None: SQL cannot express a
 trained classifier; tests/llm compares run() with a plain Python version instead.
 
-Rows with equal doc_id are kept or dropped together; empty and null texts are documents like others.
+A row is a document: rows that share a doc_id, or have none, are kept or dropped each for its own text. Empty and null texts are
+documents like others.
 """
 
 from __future__ import annotations
@@ -20,12 +21,6 @@ KEEP_SCORE = 0.7
 ORACLE_SQL = None
 
 
-def _matching(docs: DataFrame, ids: DataFrame, how: str) -> DataFrame:
-    """docs whose doc_id is (left_semi) or is not (left_anti) in ids; null is an id like others."""
-    other = ids.select("doc_id").distinct()
-    return docs.join(other, docs["doc_id"].eqNullSafe(other["doc_id"]), how)
-
-
 def quality_classifier(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps documents whose quality score is at least KEEP_SCORE; the model is trained on these documents and the labels."""
     model = quality.train(docs, table(spark, sf_dir, "labels"))
@@ -33,18 +28,22 @@ def quality_classifier(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the document with the smallest doc_id of each near-duplicate class; a repeated row stays once."""
-    classes = staged(near_dedup.classes(docs))
-    first = classes.filter(F.coalesce("doc_id", F.lit(near_dedup.NO_ID)) == F.col("class_id"))
-    kept = _matching(docs, first, "left_semi")
-    if not classes.groupBy("doc_id").count().filter("count > 1").isEmpty():
-        kept = kept.dropDuplicates(["doc_id"])
+    """Keeps the document with the smallest doc_id of each near-duplicate class, null after all others; a repeated row stays once."""
+    first = staged(near_dedup.grouped(docs).filter("first").select("id", "exact"))
+    own_id, own_text = near_dedup.row_key(docs)
+    kept = docs.join(first, (own_id == first["id"]) & (own_text == first["exact"]), "left_semi")
+    if not first.groupBy("id", "exact").count().filter("count > 1").isEmpty():
+        kept = kept.dropDuplicates(["doc_id", "text"])
     return kept
 
 
 def benchmark_decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drops documents that contain a benchmark item."""
-    return _matching(docs, decontaminate.leaks(docs, table(spark, sf_dir, "benchmark")), "left_anti")
+    """Drops documents that contain a benchmark item; items without an id are items of their own."""
+    row = F.xxhash64(docs["doc_id"], docs["text"])
+    own = F.concat(F.lit("no id "), F.xxhash64("text").cast("string"))
+    items = table(spark, sf_dir, "benchmark").select(F.coalesce(F.col("item_id").cast("string"), own).alias("item_id"), "text")
+    found = decontaminate.leaks(docs.select(row.alias("rw_row"), "text"), items, id_col="rw_row").select(F.col("doc_id").alias("rw_row")).distinct()
+    return docs.join(found, row == found["rw_row"], "left_anti")
 
 
 def secret_masking(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

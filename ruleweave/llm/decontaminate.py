@@ -8,7 +8,8 @@ with its shingles; (document, item) pairs with enough hits are candidates, and n
 lost. Candidates are verified by exact containment of shingles, compared as text.
 
 Words are maximal runs of letters and digits, in lower case; a shingle is five words. Items with fewer words have no
-shingles and are never found; null and empty texts hold nothing. Rows with equal doc_id count as parts of one document.
+shingles and are never found; null and empty texts hold nothing. Rows with equal doc_id count as parts of one document, rows with
+equal item_id as parts of one item; items without an id take no part.
 """
 
 from __future__ import annotations
@@ -36,7 +37,8 @@ def shingles(text: Column, words: int = WORDS, hashed: bool = True) -> Column:
 
 def sketches(items: DataFrame, threshold: float = THRESHOLD, words: int = WORDS) -> DataFrame:
     """item_id, n_item (distinct shingles), needed (hits that a pair above the threshold has at least) and h, a row for each kept MinHash value."""
-    sized = items.select("item_id", F.array_sort(F.array_distinct(shingles(F.col("text"), words))).alias("hs")).filter("hs is not null")
+    sized = items.select("item_id", shingles(F.col("text"), words).alias("hs")).filter("hs is not null")
+    sized = sized.groupBy("item_id").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_list("hs")))).alias("hs"))
     n = F.size("hs")
     most = F.pow(F.lit(2.0), F.floor(F.log2(n.cast("double"))) + 1) - 1  # the largest size of the item's class
     k = F.least(n, (F.floor((1 - threshold) * most + 1e-9) + 1).cast("int"))
@@ -48,9 +50,9 @@ def sketches(items: DataFrame, threshold: float = THRESHOLD, words: int = WORDS)
 def leaks(docs: DataFrame, items: DataFrame, threshold: float = THRESHOLD, words: int = WORDS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, item_id, n_item, n_shared, containment of every pair with a containment of at least the threshold."""
     texts = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("doc_id"), F.col(text_col).alias("rw_text"))
-    items = items.select("item_id", "text").dropDuplicates(["item_id"])
+    items = items.select("item_id", "text").filter("item_id is not null")
     sketch = sketches(items, threshold, words)
-    own = items.select("item_id", F.explode(F.array_distinct(shingles(F.col("text"), words, hashed=False))).alias("shingle"))
+    own = items.select("item_id", F.explode(F.array_distinct(shingles(F.col("text"), words, hashed=False))).alias("shingle")).distinct()
     small = own.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS  # benchmarks are small; a huge one is joined by a shuffle
     held = F.broadcast if small else (lambda df: df)
     probes = texts.select("doc_id", F.explode(F.array_distinct(shingles(F.col("rw_text"), words))).alias("h"))

@@ -14,7 +14,8 @@ label matrices, and gives only the links that join components. No bucket is cut,
 copies is expanded at all.
 
 Texts with fewer than five words have one label, all their words. Null texts count as empty; texts without words are copies of each
-other. The class id is the smallest doc_id of the class. Null doc_ids stand for the smallest integer.
+other. A node is a text, numbered by a hash of its words, never a doc_id, so rows that share a doc_id or have none are documents of
+their own. The class id is the smallest doc_id of the class that is not null; a class of null doc_ids only has a negative number of its own.
 """
 
 from __future__ import annotations
@@ -23,7 +24,7 @@ from bisect import bisect_left
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ruleweave.llm.common import checkpointed, lean, small_batches, staged
@@ -104,7 +105,7 @@ def aligned(a: np.ndarray, b: np.ndarray, threshold: float = THRESHOLD) -> float
 
 
 def sketched(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", sketches: int = SKETCHES, kept: int = KEPT) -> DataFrame:
-    """id, copy (a hash of the text's words), n (labels) and sketches of every row."""
+    """id, exact (a hash of the text), copy (a hash of the text's words), n (labels) and sketches of every row."""
 
     def run(batches):
         for batch in batches:
@@ -126,12 +127,17 @@ def sketched(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", sk
                     s = sketch(marks, sketches, kept)
                     first = int(mix(np.array([len(w)], U) + marks.sum(dtype=U))[0]) if len(marks) else 0
                     rows.append((f"{first:016x}{whole:016x}", len(marks), s.view(np.int64)))
-                yield pa.RecordBatch.from_arrays([batch["id"].slice(at, end - at), pa.array([r[0] for r in rows]), pa.array([r[1] for r in rows], pa.int32()), pa.array([r[2] for r in rows], pa.list_(pa.int64()))], ["id", "copy", "n", "sketches"])
+                yield pa.RecordBatch.from_arrays([batch["id"].slice(at, end - at), batch["exact"].slice(at, end - at), pa.array([r[0] for r in rows]), pa.array([r[1] for r in rows], pa.int32()), pa.array([r[2] for r in rows], pa.list_(pa.int64()))], ["id", "exact", "copy", "n", "sketches"])
                 at = end
 
     small_batches(docs.sparkSession)
-    narrow = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("id"), F.col(text_col).alias("rw_text"))
-    return narrow.mapInArrow(lean(run), "id long, copy string, n int, sketches array<long>")
+    narrow = docs.select(*row_key(docs, id_col, text_col), F.col(text_col).alias("rw_text"))
+    return narrow.mapInArrow(lean(run), "id long, exact long, copy string, n int, sketches array<long>")
+
+
+def row_key(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> list[Column]:
+    """id (of a null doc_id NO_ID) and exact: a row up to repetition."""
+    return [F.coalesce(docs[id_col].cast("long"), F.lit(NO_ID)).alias("id"), F.xxhash64(F.coalesce(docs[text_col], F.lit(""))).alias("exact")]
 
 
 def verified(pairs: DataFrame, texts: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
@@ -176,12 +182,14 @@ def components(edges: DataFrame) -> DataFrame:
     return heads.select(F.col("u").alias("id"), "component").unionByName(heads.select("component").distinct().select(F.col("component").alias("id"), "component"))
 
 
-def links(nodes: DataFrame, texts: DataFrame, threshold: float = THRESHOLD, block: int = BLOCK) -> DataFrame:
-    """Verified links (a, b) between different texts that connect every class: nodes has id, n, sketches; texts has id, text."""
+def links(nodes: DataFrame, texts: DataFrame, threshold: float = THRESHOLD, block: int = BLOCK, repeated: bool = True) -> DataFrame:
+    """Verified links (a, b) between different texts that connect every class: nodes has id, doc, exact, n, sketches; texts has doc, exact, text, once or more for each node."""
     keyed = nodes.select("id", "n", F.posexplode("sketches").alias("at", "s")).select("id", "n", F.xxhash64("at", "s").alias("key"))
     shared = keyed.groupBy("key").agg(F.count("*").alias("size")).filter("size > 1")
     members = checkpointed(keyed.join(shared, "key"))
-    texts = staged(texts.join(members.select("id").distinct(), "id", "left_semi"))  # those that stand in a bucket at all
+    wanted = nodes.select("id", "doc", "exact").join(members.select("id").distinct(), "id", "left_semi")
+    texts = texts.join(wanted, ["doc", "exact"]).select("id", "text")
+    texts = staged(texts.dropDuplicates(["id"]) if repeated else texts)  # those that stand in a bucket at all
     # the centre of a star is the text that shares most sketches: what others were copied from, and the same in most of its buckets
     wide = members.join(members.groupBy("id").agg(F.sum("size").alias("weight")), "id")
     centres = wide.groupBy("key").agg(F.max(F.struct("weight", (-F.col("id")).alias("minus"))).alias("top")).select("key", (-F.col("top.minus")).alias("a"))
@@ -269,15 +277,28 @@ def joining(ids: list[int], component: list[int], marks: list[np.ndarray], left:
     return out
 
 
-def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD) -> DataFrame:
-    """doc_id, copy_of (smallest doc_id with the same words) and class_id (smallest doc_id of the class) of every row."""
+def grouped(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD) -> DataFrame:
+    """id, exact (see row_key), copy_of, class_id and first of every row. first: the row, repeated or not, that stands for its class."""
     rows = staged(sketched(docs, id_col, text_col))
-    copies = rows.groupBy("copy").agg(F.min("id").alias("id"))
-    nodes = staged(rows.join(copies.select("id", F.col("copy").alias("rw_copy")), "id").filter("copy = rw_copy").select("id", "n", "sketches").dropDuplicates(["id"]))
-    texts = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("id"), F.coalesce(text_col, F.lit("")).alias("text"))
-    texts = texts.filter(F.col("id").isNotNull())
-    parts = components(links(nodes, texts, threshold))
-    named = copies.join(parts, "id", "left").select("copy", F.col("id").alias("copy_of"), F.coalesce("component", "id").alias("class_id"))
+    least = F.struct((F.col("id") == NO_ID).alias("none"), "id", "exact")
+    copies = staged(rows.groupBy("copy").agg(F.min(least).alias("least")).withColumn("node", F.xxhash64("copy")))
+    nodes = rows.join(copies.select("least.id", "least.exact", "node"), ["id", "exact"]).select(F.col("node").alias("id"), F.col("id").alias("doc"), "exact", "n", "sketches")
+    nodes = staged(nodes.dropDuplicates(["id"]))
+    repeated = not rows.groupBy("id", "exact").count().filter("count > 1").isEmpty()
+    key = row_key(docs, id_col, text_col)
+    texts = docs.select(key[0].alias("doc"), key[1], F.coalesce(text_col, F.lit("")).alias("text"))
+    parts = components(links(nodes, texts, threshold, repeated=repeated)).select(F.col("id").alias("node"), "component")
+    placed = checkpointed(copies.join(parts, "node", "left").select("copy", "least", F.coalesce("component", "node").alias("component")))
+    heads = placed.groupBy("component").agg(F.min("least").alias("head"))
+    class_id = F.when(F.col("head.none"), F.col("component").bitwiseOR(F.lit(NO_ID))).otherwise(F.col("head.id")).alias("class_id")
+    named = placed.join(heads, "component").select("copy", F.col("least.id").alias("copy_of"), class_id, "head")
     named = named.withColumn("rw_salt", F.explode(F.array(*[F.lit(k) for k in range(SALTS)])))
-    salted = rows.select("id", "copy", F.pmod(F.xxhash64("id"), F.lit(SALTS)).cast("int").alias("rw_salt"))
-    return salted.join(named, ["copy", "rw_salt"]).select(F.nullif("id", F.lit(NO_ID)).alias("doc_id"), F.nullif("copy_of", F.lit(NO_ID)).alias("copy_of"), "class_id")
+    salted = rows.select("id", "exact", "copy", F.pmod(F.xxhash64("id", "exact"), F.lit(SALTS)).cast("int").alias("rw_salt"))
+    first = (F.col("id") == F.col("head.id")) & (F.col("exact") == F.col("head.exact"))
+    return salted.join(named, ["copy", "rw_salt"]).select("id", "exact", "copy_of", "class_id", first.alias("first"))
+
+
+def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD) -> DataFrame:
+    """doc_id, copy_of (smallest doc_id with the same words, null if there is none) and class_id (smallest doc_id of the class) of every row."""
+    found = grouped(docs, id_col, text_col, threshold)
+    return found.select(F.nullif("id", F.lit(NO_ID)).alias("doc_id"), F.nullif("copy_of", F.lit(NO_ID)).alias("copy_of"), "class_id")

@@ -326,7 +326,8 @@ def test_recurring_blocks_of_the_tables_go_by_hash_alone(spark, data):
     assert sum(len(pages) >= 3 for pages in on.values()) > 100
     for r in page_text.main_texts(neutral).collect():
         lines = r.text.split("\n")
-        assert not any(len(on[key]) >= 3 and key[3] in lines for key in own[r.page_id])
+        left = [key for key in own[r.page_id] if len(on[key]) >= 3 and key[3] in lines]
+        assert not left, (r.page_id, left)
 
 
 def test_pages_of_the_tables(spark, data):

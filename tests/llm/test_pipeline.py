@@ -6,7 +6,7 @@ import pytest
 
 corpus_pipeline = pytest.importorskip("corpus_pipeline")
 
-from ruleweave.llm import quality  # noqa: E402
+from ruleweave.llm import decontaminate, near_dedup, quality  # noqa: E402
 from ruleweave.llm.common import table  # noqa: E402
 from tests.llm.test_operators import DOCS, _base, _classes  # noqa: E402
 
@@ -50,3 +50,20 @@ def test_stages_on_awkward_rows(spark, data):
     assert sorted((r.doc_id for r in near), key=str) == sorted([1, None, 3], key=str)
     masked = {r.doc_id: r.text for r in corpus_pipeline.secret_masking(spark, odd, data).collect()}
     assert masked[3] == "[secret] ends" and masked[1] is None
+
+
+def test_rows_that_share_an_id_are_documents_of_their_own(spark, data, tmp_path):
+    text = lambda k: " ".join(f"w{k}x{j}" for j in range(30))
+    row = lambda i, k: (i, text(k), "en", "s", 1, 1, "a", "b", 2)
+    odd = spark.createDataFrame([row(None, k) for k in range(6)] + [row(5, 3), row(7, 10), row(7, 11), row(7, 11), row(8, 11)], DOCS)
+    near = sorted(((r.doc_id, r.text) for r in corpus_pipeline.near_duplicates(spark, odd, data).collect()), key=str)
+    assert near == sorted([(None, text(k)) for k in range(6) if k != 3] + [(5, text(3)), (7, text(10)), (7, text(11))], key=str)
+    classes = [r.class_id for r in near_dedup.classes(odd).collect()]
+    assert len(set(classes)) == 7 and sum(i < 0 for i in classes) == 5  # class 7 has texts 10 and 11
+    halves = [text(3).rsplit(" ", 12)[0], " ".join(text(3).split()[10:])]
+    spark.createDataFrame([("a", halves[0]), ("a", halves[1]), (None, text(1))], "item_id string, text string").write.parquet(str(tmp_path / "benchmark.parquet"))
+    left = corpus_pipeline.benchmark_decontamination(spark, odd, str(tmp_path)).collect()
+    assert sorted(r.text for r in left) == sorted([text(k) for k in (0, 2, 4, 5, 10, 11, 11, 11)])
+    half = spark.createDataFrame([(1, halves[0])], "doc_id long, text string")
+    items = spark.read.parquet(str(tmp_path / "benchmark.parquet"))
+    assert decontaminate.leaks(half, items).count() == 0  # the item is both rows
