@@ -8,6 +8,9 @@ them: with L labels aligned in order, the similarity is L / (n1 + n2 - L). Label
 subsequence is a longest increasing run of positions; labels further apart than the band allows cannot be part of
 an alignment that reaches the threshold.
 
+Short texts (4 to 8 labels) have besides the keys of all their labels and of all but one, so that no pair with 7 labels or fewer on one
+side is left to chance.
+
 Equal texts are one node. In a bucket (texts with a common sketch) every text is compared with the one that shares most sketches, a
 star; links join components. A bucket that still holds several components is decided in full, block by block, by products of
 label matrices, and gives only the links that join components. No bucket is cut, none is expanded into its pairs, and no group of
@@ -32,6 +35,7 @@ from ruleweave.llm.textnum import U, Words, encoded, mix
 
 WORDS, THRESHOLD = 5, 0.8
 SKETCHES, KEPT = 24, 4
+SHORT = 8  # labels; texts with fewer reach the threshold only with texts that have one label more
 BLOCK, COLUMNS = 256, 4096
 SALTS = 8
 NO_ID = -(1 << 63)
@@ -78,6 +82,13 @@ def sketch(marks: np.ndarray, sketches: int = SKETCHES, kept: int = KEPT) -> np.
     return out
 
 
+def short_keys(marks: np.ndarray) -> np.ndarray:
+    """Keys of a short text: all its labels, and all but one. Of texts at 0.8 with up to 7 labels in one, one text has all the labels but one of the other."""
+    if not 4 <= len(marks) <= SHORT:
+        return np.empty(0, U)
+    return np.concatenate([marks.sum(dtype=U)[None], marks.sum(dtype=U) - marks])
+
+
 def aligned(a: np.ndarray, b: np.ndarray, threshold: float = THRESHOLD) -> float:
     """Similarity of two label sequences by banded alignment; 0 if it cannot reach the threshold."""
     n, m = len(a), len(b)
@@ -124,7 +135,7 @@ def sketched(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", sk
                     marks = labels(words, h, k)
                     w = h2[words.first[k] : words.first[k + 1]]
                     whole = int((mix(w + np.arange(len(w), dtype=U) * U(0xA24BAED4963EE407))).sum(dtype=U)) if len(w) else 0
-                    s = sketch(marks, sketches, kept)
+                    s = np.concatenate([sketch(marks, sketches, kept), short_keys(marks)])
                     first = int(mix(np.array([len(w)], U) + marks.sum(dtype=U))[0]) if len(marks) else 0
                     rows.append((f"{first:016x}{whole:016x}", len(marks), s.view(np.int64)))
                 yield pa.RecordBatch.from_arrays([batch["id"].slice(at, end - at), batch["exact"].slice(at, end - at), pa.array([r[0] for r in rows]), pa.array([r[1] for r in rows], pa.int32()), pa.array([r[2] for r in rows], pa.list_(pa.int64()))], ["id", "exact", "copy", "n", "sketches"])
@@ -184,7 +195,7 @@ def components(edges: DataFrame) -> DataFrame:
 
 def links(nodes: DataFrame, texts: DataFrame, threshold: float = THRESHOLD, block: int = BLOCK, repeated: bool = True) -> DataFrame:
     """Verified links (a, b) between different texts that connect every class: nodes has id, doc, exact, n, sketches; texts has doc, exact, text, once or more for each node."""
-    keyed = nodes.select("id", "n", F.posexplode("sketches").alias("at", "s")).select("id", "n", F.xxhash64("at", "s").alias("key"))
+    keyed = nodes.select("id", "n", F.posexplode("sketches").alias("at", "s")).select("id", "n", F.xxhash64(F.least("at", F.lit(SKETCHES)), "s").alias("key"))  # short keys have no place
     shared = keyed.groupBy("key").agg(F.count("*").alias("size")).filter("size > 1")
     members = checkpointed(keyed.join(shared, "key"))
     wanted = nodes.select("id", "doc", "exact").join(members.select("id").distinct(), "id", "left_semi")
