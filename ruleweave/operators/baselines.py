@@ -16,7 +16,7 @@ from ruleweave.ir.inline import inline_locals
 from ruleweave.ir.nodes import Definition
 from ruleweave.lang.ast import Program
 from ruleweave.operators import fixpoint, local
-from ruleweave.operators.state import FixpointResult, materialised, minus
+from ruleweave.operators.state import FixpointResult, discard, materialised, minus, rows_of
 from ruleweave.plans.conjunction import apply
 from ruleweave.sqltext.emit import DIALECTS, Dialect, Emitter, statement
 
@@ -51,12 +51,13 @@ def external_loop(defn: Definition, env: Mapping[str, DataFrame], most: int = fi
     """A driver loop that plans and runs one statement a round over the whole relation, until it stops growing."""
     flat, base, step = _step_text(defn, env)
     total = materialised(_sql(env, " UNION ".join(base)))
-    sizes, seconds = [total.count()], [0.0]
+    sizes, seconds = [rows_of(total)], [0.0]
     while len(sizes) <= most:
         started = time.perf_counter()
-        now = dict(env) | {flat.head: total}
-        total = materialised(_sql(now, " UNION ".join([*base, *step])))
-        sizes.append(total.count())
+        before = total
+        total = materialised(_sql(dict(env) | {flat.head: before}, " UNION ".join([*base, *step])))
+        discard(before)
+        sizes.append(rows_of(total))
         seconds.append(time.perf_counter() - started)
         if sizes[-1] == sizes[-2]:
             return FixpointResult(total, len(sizes), sizes, seconds)
@@ -67,15 +68,18 @@ def round_batches(defn: Definition, env: Mapping[str, DataFrame], most: int = fi
     """Three materialised statements a round: candidates from the last delta, their difference, the merged relation."""
     flat, base, step = _step_text(defn, env)
     total = delta = materialised(_sql(env, " UNION ".join(base)))
-    sizes, seconds = [delta.count()], [0.0]
+    sizes, seconds = [rows_of(delta)], [0.0]
     while sizes[-1]:
         if len(sizes) > most:
             raise fixpoint.RoundLimit(f"more than {most} rounds")
         started = time.perf_counter()
         candidates = materialised(_sql(dict(env) | {flat.head: delta}, " UNION ".join(step)))
-        delta = materialised(minus(candidates, total, defn.padded))
-        total = materialised(total.unionByName(delta))
-        sizes.append(delta.count())
+        before, last = total, delta
+        delta = materialised(minus(candidates, before, defn.padded))
+        total = materialised(before.unionByName(delta))
+        for old in {id(f): f for f in (candidates, before, last)}.values():
+            discard(old)
+        sizes.append(rows_of(delta))
         seconds.append(time.perf_counter() - started)
     return FixpointResult(total, len(sizes), sizes, seconds)
 

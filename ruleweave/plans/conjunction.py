@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from collections.abc import Mapping
+import warnings
+from collections.abc import Callable, Mapping
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -18,19 +19,21 @@ def spark_type(kind: str) -> str:
     return TYPES.get(kind, "bigint")
 
 
-def expression(term: Term) -> Column:
+def expression(term: Term, inner: Callable[[Term], Column] | None = None) -> Column:
+    """A term as a column; inner gives the columns of its parts, by default those named like its variables."""
+    inner = inner or expression
     if isinstance(term, Var):
         return F.col(f"`{term.name}`")
     if isinstance(term, Const):
         return F.lit(term.value).cast("bigint") if isinstance(term.value, int) else F.lit(term.value)
-    left, right = expression(term.left), expression(term.right)
+    left, right = inner(term.left), inner(term.right)
     if term.op == "/":
         return F.try_divide(left - left % right, right).cast("bigint")
     return {"+": left.__add__, "-": left.__sub__, "*": left.__mul__, "%": left.__mod__}[term.op](right)
 
 
-def condition(c: Compare) -> Column:
-    left, right = expression(c.left), expression(c.right)
+def condition(c: Compare, value: Callable[[Term], Column] = expression) -> Column:
+    left, right = value(c.left), value(c.right)
     return {"=": left == right, "!=": left != right, "<": left < right, "<=": left <= right, ">": left > right, ">=": left >= right}[c.op]
 
 
@@ -91,6 +94,8 @@ def conjunction(conj: Conjunction, columns: tuple[str, ...], env: Mapping[str, D
         else:
             shared = sorted(own & bound)
             if not shared:
+                if right.columns:
+                    warnings.warn(f"{pick.pred} shares no variable with the literals before it: a cross product", stacklevel=2)
                 acc = acc.crossJoin(right) if right.columns else acc
             elif wanted <= bound:
                 acc = acc.join(right, shared, "left_semi")

@@ -16,8 +16,9 @@ from ruleweave.lang.ast import Program
 from ruleweave.lang.normalize import canonical
 from ruleweave.lang.parser import parse
 from ruleweave.operators import fixpoint
-from ruleweave.operators.state import FixpointResult, materialised
+from ruleweave.operators.state import FixpointResult, all_materialised, fixed_plans, materialised
 from ruleweave.plans.conjunction import apply
+from ruleweave.plans.layout import by_probe, probes
 
 
 @dataclass
@@ -61,12 +62,11 @@ class Evaluation:
     fixpoints: dict[str, FixpointResult] = field(default_factory=dict)
 
 
-def evaluate(compiled: Compiled, facts: Mapping[str, DataFrame], strategy: Callable[..., FixpointResult] = fixpoint.seminaive, given: Mapping[str, DataFrame] | None = None) -> Evaluation:
-    """All relations of a program over input relations. `given` relations are taken as they are instead of evaluated."""
+def evaluate(compiled: Compiled, facts: Mapping[str, DataFrame], strategy: Callable[..., FixpointResult] = fixpoint.seminaive) -> Evaluation:
+    """All relations of a program over input relations."""
     out = Evaluation(dict(facts))
-    out.relations.update(given or {})
     general = [c for c, route in compiled.routes.items() if route == "general"]
-    done: set[str] = set(given or ())
+    done: set[str] = set()
     for d in compiled.definitions:
         if d.head in done:
             continue
@@ -86,12 +86,13 @@ def evaluate(compiled: Compiled, facts: Mapping[str, DataFrame], strategy: Calla
 
 
 def prepared(d: Definition, relations: dict[str, DataFrame], facts: Mapping[str, DataFrame]) -> dict[str, DataFrame]:
-    """The relations, with the inputs that the definition's rounds read evaluated once instead of in each round."""
-    for x in (d, *d.locals):
-        for c in x.body:
-            for a in c.atoms:
-                if c.uses(d.scope) and a.pred in facts and relations.get(a.pred) is facts[a.pred]:
-                    relations[a.pred] = materialised(facts[a.pred])
+    """The relations, with the inputs that the definition's rounds read evaluated once, hashed by the columns that rounds probe."""
+    fresh = {p: at for p, at in probes(d).items() if p in facts and relations.get(p) is facts[p]}
+    if fresh:
+        spark = next(iter(facts.values())).sparkSession
+        n = int(spark.conf.get("spark.sql.shuffle.partitions"))
+        with fixed_plans(spark):
+            relations.update(zip(fresh, all_materialised(by_probe(facts[p], at, n) for p, at in fresh.items()), strict=True))
     return relations
 
 

@@ -31,26 +31,6 @@ def _inlined(defn, env):
     return fixpoint.seminaive(inline_locals(defn), env)
 
 
-def _escape(relation: str) -> Query:
-    """Escape analysis with its deep stratum, the heap closure, inside each customer's orders."""
-
-    def go(spark, sf_dir):
-        heap = run.heap_local(spark, sf_dir)
-        return run.evaluated(spark, sf_dir, "escape_scope", outputs=[relation], given={"heap": heap})[1].relations[relation]
-
-    return go
-
-
-def _moves(relation: str) -> Query:
-    def go(spark, sf_dir):
-        if relation in ("ancestor", "moved", "assigned"):
-            return run.evaluated(spark, sf_dir, "move_check", outputs=[relation])[1].relations[relation]
-        found = run.uninit_local(spark, sf_dir)
-        return found["uninit"].join(found["accessed_base"], ["path", "pt"], "left_semi") if relation == "errors" else found["uninit"]
-
-    return go
-
-
 def _turns(strategy) -> Query:
     return lambda spark, sf_dir: run.from_heads(run.chain(spark, sf_dir, "turns"), strategy).total
 
@@ -172,8 +152,10 @@ def _key_sql(table: str) -> str:
 
 def queries() -> dict[str, Query]:
     q: dict[str, Query] = {
-        "w1_flow_reach": run.flow_reach_local,
+        "w1_flow_reach": _relation("flow_reach", "reach"),
         "w1_flow_reach_pivot": _relation("flow_reach", "reach", strategy=fixpoint.pivoted),
+        "w1_flow_reach_partition": run.flow_reach_local,
+        "w1_flow_reach_keyed": run.flow_reach_keyed,
         "w8_knot": _knot,
         "w9_closure": lambda spark, sf_dir: run.closure({"edge": facts(spark, sf_dir, ["order_next"])["order_next"]}).total,
         "w9_closure_partition": run.heap_local,
@@ -209,12 +191,14 @@ def queries() -> dict[str, Query]:
         for m in range(2, 7):
             q[f"w7_ring_m{m}_{form}"] = partial(_ring, m, form)
     for short, relation in (("heap", "heap"), ("global", "global"), ("live", "live_alloc"), ("escapes", "escapes"), ("captured", "captured")):
-        q[f"w4_{short}"] = _escape(relation)
+        q[f"w4_{short}"] = _relation("escape_scope", relation)
     for relation in ("ancestor", "moved", "assigned", "uninit", "errors"):
-        q[f"w5_{relation}"] = _moves(relation)
+        q[f"w5_{relation}"] = _relation("move_check", relation)
     for kind in programs.CHAINS:
         q[f"w6_{kind}_heads"] = partial(_chains, kind, "heads")
         q[f"w6_{kind}_closure"] = partial(_chains, kind, "closure")
+    for what in ("heads", "closure"):
+        q[f"w6_events_{what}_partition"] = partial(_events_local, what)
     for case in REWRITE_CASES:
         q[f"norm_{case}"] = _rewrite(case)
     for word, op in relational.COMPARISONS.items():
@@ -230,21 +214,24 @@ def _ring(m: int, form: str, spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _chains(kind: str, what: str, spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Natural chains: the deep ones inside each user's events, the others in rounds."""
     env = run.chain(spark, sf_dir, kind)
-    if kind == "events":
-        text, out = (programs.FROM_HEADS, "seen") if what == "heads" else (programs.CLOSURE, "path")
-        program = compile_program(text).program
-        if what == "closure":
-            env.pop("head")
-        return run.partition_local(program, env, run.users_of_events(spark, sf_dir), {"edge": "src"} | ({"head": "node"} if what == "heads" else {}), out)
     return run.from_heads(env).total if what == "heads" else run.closure({"edge": env["edge"]}).total
 
 
+def _events_local(what: str, spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The deep chains with all rounds inside each user's events."""
+    env = run.chain(spark, sf_dir, "events")
+    text, out = (programs.FROM_HEADS, "seen") if what == "heads" else (programs.CLOSURE, "path")
+    if what == "closure":
+        env.pop("head")
+    return run.partition_local(compile_program(text).program, env, run.users_of_events(spark, sf_dir), {"edge": "src"} | ({"head": "node"} if what == "heads" else {}), out)
+
+
 def oracle_sql() -> dict[str, str]:
     r = reference
     o = dict(r.W)
-    o["w1_flow_reach_pivot"] = o["w1_flow_reach"]
+    for way in ("pivot", "partition", "keyed"):
+        o[f"w1_flow_reach_{way}"] = o["w1_flow_reach"]
     for form in ("lifted", "tagged", "inlined"):
         o[f"w2_units_{form}"], o[f"w2_edges_{form}"] = r.W["w2_units"], r.W["w2_edges"]
     for form in ("lifted", "tagged"):
@@ -255,6 +242,7 @@ def oracle_sql() -> dict[str, str]:
         del o[n]
     for kind in programs.CHAINS:
         o[f"w6_{kind}_heads"], o[f"w6_{kind}_closure"] = r.heads(kind), r.closure(kind)
+    o["w6_events_heads_partition"], o["w6_events_closure_partition"] = r.heads("events"), r.closure("events")
     for n in ("native_cte_turns", "turns_seminaive", "turns_pivot", "turns_naive", "turns_external_loop", "turns_round_batches", "turns_arranged", "turns_local_oracle", "stream_turn_reach"):
         o[n] = r.heads("turns")
     o["turns_non_linear"] = o["turns_linearized"] = r.closure("turns")

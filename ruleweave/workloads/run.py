@@ -3,15 +3,16 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import partial
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ruleweave.lang.normalize import canonical
 from ruleweave.lang.parser import parse
-from ruleweave.operators import fixpoint
+from ruleweave.operators import fixpoint, keys
 from ruleweave.operators.partition_local import partition_local
-from ruleweave.operators.state import FixpointResult, union_all
+from ruleweave.operators.state import FixpointResult, materialised, union_all
 from ruleweave.plans.program import Compiled, Evaluation, compile_program, evaluate, prepared
 from ruleweave.sources.facts import facts, query
 from ruleweave.workloads import programs
@@ -21,13 +22,28 @@ def inputs(spark: SparkSession, sf_dir: str, name: str) -> dict[str, DataFrame]:
     return facts(spark, sf_dir, programs.INPUTS[name])
 
 
-def evaluated(spark: SparkSession, sf_dir: str, name: str, form: str = "lifted", strategy: Callable[..., FixpointResult] = fixpoint.seminaive, outputs: list[str] | None = None, given: dict[str, DataFrame] | None = None) -> tuple[Compiled, Evaluation]:
+def evaluated(spark: SparkSession, sf_dir: str, name: str, form: str = "lifted", strategy: Callable[..., FixpointResult] = fixpoint.seminaive, outputs: list[str] | None = None) -> tuple[Compiled, Evaluation]:
     """A workload's relations; with outputs, only what they need is computed."""
     program = parse(programs.PROGRAMS[name])
     if outputs:
         program.outputs = outputs
     compiled = compile_program(program, form)
-    return compiled, evaluate(compiled, inputs(spark, sf_dir, name), strategy, given)
+    return compiled, evaluate(compiled, inputs(spark, sf_dir, name), strategy)
+
+
+def picked_keys(compiled: Compiled, env: dict[str, DataFrame]) -> dict[str, tuple[str, ...]]:
+    """For each input relation that recursion reads, the key that discovery and choice give it; relations without one are left out."""
+    used = keys.recursive_columns(compiled.definitions, {n: tuple(f.columns) for n, f in env.items()})
+    found = {n: keys.pick_key(keys.keys(env[n]), cols) for n, cols in sorted(used.items()) if n in env}
+    return {n: k for n, k in found.items() if k}
+
+
+def flow_reach_keyed(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Deep reachability with the keys that discovery finds: rounds join the edges by their key and leave out the deduplication."""
+    env, compiled = inputs(spark, sf_dir, "flow_reach"), compile_program(programs.FLOW_REACH)
+    env["flow_edge"] = materialised(env["flow_edge"])
+    known = {"flow_edge": keys.keys(env["flow_edge"])}
+    return evaluate(compiled, env, partial(fixpoint.seminaive, keys=known)).relations["reach"]
 
 
 def users_of_events(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -49,18 +65,6 @@ def heap_local(spark: SparkSession, sf_dir: str) -> DataFrame:
     return partition_local(canonical(parse(programs.CLOSURE)), env, customers_of_orders(spark, sf_dir), {"edge": "src"}, "path")
 
 
-def uninit_local(spark: SparkSession, sf_dir: str) -> dict[str, DataFrame]:
-    """Move checking: the path tree's strata as ordinary relations, the flow along events inside each user's events."""
-    _, early = evaluated(spark, sf_dir, "move_check", outputs=["moved", "assigned"])
-    text = """.decl uninit(path: number, pt: number)
-    .output uninit
-    uninit(p, t) :- moved(p, t).
-    uninit(p, t) :- uninit(p, s), flow_edge(s, t), !assigned(p, t)."""
-    env = {n: early.relations[n] for n in ("moved", "assigned", "flow_edge")}
-    uninit = partition_local(canonical(parse(text)), env, users_of_events(spark, sf_dir), {"moved": "pt", "assigned": "pt", "flow_edge": "src"}, "uninit")
-    return early.relations | {"uninit": uninit}
-
-
 def chain(spark: SparkSession, sf_dir: str, kind: str) -> dict[str, DataFrame]:
     """Edges and heads of the natural chains of a table."""
     edge, head = programs.CHAINS[kind]

@@ -10,10 +10,12 @@ import pytest
 from ruleweave import metrics, queries
 from ruleweave.functions import table_function
 from ruleweave.lang.parser import parse
+from ruleweave.operators import fixpoint, state
 from ruleweave.plans.keyed import distinct_needed, multiplies
+from ruleweave.plans.layout import layout
 from ruleweave.plans.program import compile_program, evaluate
 from ruleweave.sources import files
-from ruleweave.workloads import programs
+from ruleweave.workloads import programs, run
 
 
 def test_text_and_parquet_files(spark, tmp_path):
@@ -39,8 +41,59 @@ def test_keys_in_plans():
     d = compile_program(programs.FLOW_REACH).definitions[0]
     columns = {"flow_edge": ("src", "dst"), "flow_null": ("src", "dst")}
     step = d.split()[1][0]
-    assert multiplies(step, "reach", columns, {}) and not multiplies(step, "reach", columns, {"flow_edge": ("src",)})
-    assert distinct_needed(d, columns, {})
+    assert multiplies(step, "reach", columns, {}) and not multiplies(step, "reach", columns, {"flow_edge": [("src",)]})
+    assert distinct_needed(d, columns, {}) and distinct_needed(d, columns, {"flow_edge": [("src",)]})
+    assert not distinct_needed(d, columns, {"flow_edge": [("src",), ("dst",)]})
+
+
+def test_a_known_key_drops_the_deduplication(spark):
+    d = compile_program(programs.CLOSURE).definitions[0]
+    env = run.generated_chains(spark, 3, 5)
+    for keys, aggregates in ((None, True), ({"edge": [("src",), ("dst",)]}, False)):
+        with state.fixed_plans(spark):
+            plan = layout(d, {"edge": env["edge"]}, 4, None, keys)
+            levels = state.Levels(list(d.columns), list(plan.key), 4)
+            delta = state.materialised(levels.ordered(levels.placed(env["edge"])))
+            needed = distinct_needed(d, {"edge": ("src", "dst")}, keys or {})
+            text = fixpoint.candidates(d, plan, levels, delta, needed)._jdf.queryExecution().executedPlan().toString()
+        assert ("HashAggregate" in text) == aggregates
+        assert fixpoint.seminaive(d, {"edge": env["edge"]}, keys=keys).total.count() == 3 * 15
+
+
+@pytest.mark.parametrize(("name", "exchanges"), [("flow_reach", 0), ("dispatch_calls", 1), ("orders", 0), ("orders, nothing broadcast", 1)])
+def test_rounds_move_neither_state_nor_static_relations(spark, data, name, exchanges, monkeypatch):
+    """A round's plan has at most one exchange, that of the candidates, and none where state is split by an unchanging column and the rest broadcast."""
+    if "nothing" in name:
+        monkeypatch.setattr("ruleweave.plans.layout.BROADCAST_BYTES", 0)
+    plans = []
+    plain = state._checkpoint
+
+    def seen(df):
+        plans.append(df._jdf.queryExecution().executedPlan().toString())
+        return plain(df)
+
+    monkeypatch.setattr(state, "_checkpoint", seen)
+    if "orders" in name:
+        found = {"x": run.from_heads(run.chain(spark, data, "orders"))}
+    else:
+        found = run.evaluated(spark, data, name)[1].fixpoints
+    rounds = [p for p in plans if "LeftAnti" in p and "Window" not in p]  # without the inputs
+    assert rounds and max(f.rounds for f in found.values()) > 2
+    assert all(p.count("Exchange hashpartitioning") <= exchanges for p in rounds)
+
+
+def test_levels_rewrite_rows_seldom(spark):
+    with state.fixed_plans(spark):
+        levels = state.Levels(["x"], ["x"], 4)
+        written = []
+        for k in range(60):
+            frame, found = state.counted(levels.ordered(levels.placed(spark.range(10 * k, 10 * k + 10).toDF("x"))))
+            before = levels.rows
+            levels.add(frame, found["rows"])
+            written.append(sum(r for r in levels.rows if r not in before))
+        assert len(levels.frames) <= state.MOST_LEVELS and levels.total(frame).count() == 600
+        assert levels.unknown(levels.placed(spark.range(595, 605).toDF("x"))).count() == 5
+    assert sum(written) < 6 * 600
 
 
 def test_measures():
