@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import hashlib
 import re
+import struct
 import zlib
 
 import numpy as np
@@ -261,6 +262,52 @@ def test_piece_paths_at_random():
         assert np.frombuffer(codec.encode(text), "<i4").tolist() == library.encode(text)
 
 
+def _message(*fields):
+    """A serialized message of (number, value): whole numbers, floats, bytes or text."""
+
+    def varint(n):
+        out = b""
+        while n > 127:
+            out, n = out + bytes([n & 127 | 128]), n >> 7
+        return out + bytes([n])
+
+    out = b""
+    for number, value in fields:
+        if isinstance(value, float):
+            out += varint(number << 3 | 5) + struct.pack("<f", value)
+        elif isinstance(value, int):
+            out += varint(number << 3) + varint(value)
+        else:
+            raw = value.encode() if isinstance(value, str) else value
+            out += varint(number << 3 | 2) + varint(len(raw)) + raw
+    return out
+
+
+@pytest.mark.parametrize("collapse", [0, 1])
+def test_unigram_paths_are_the_shortest(tmp_path, collapse):
+    import random
+
+    import sentencepiece
+
+    random.seed(11)
+    chars = "abcde▁fé"
+    words = list(dict.fromkeys([*chars, *("".join(random.choices("abcdef", k=random.randint(2, 4))) for _ in range(60)), *("▁" + "".join(random.choices("abcdef", k=random.randint(1, 3))) for _ in range(40))]))
+    pieces = [(1, _message((1, "<unk>"), (2, 0.0), (3, 2)))] + [(1, _message((1, t), (2, 0.0), (3, 3))) for t in ("<s>", "</s>")]
+    pieces += [(1, _message((1, f"<0x{k:02X}>"), (2, 0.0), (3, 6))) for k in range(256)]
+    pieces += [(1, _message((1, w), (2, -random.uniform(2, 12)), (3, 1))) for w in words]
+    raw = _message(*pieces, (2, _message((3, 1), (35, 1))), (3, _message((1, "identity"), (3, 1), (4, collapse), (5, 1))))
+    (tmp_path / "u.model").write_bytes(raw)
+    library = sentencepiece.SentencePieceProcessor(model_proto=raw)
+    codec = piece_transducer.Codec(piece_transducer.compile_model(str(tmp_path / "u.model")))
+    texts = ["".join(random.choices("aabbccdeef  éxX日\n", k=random.randint(0, 40))) for _ in range(800)]
+    for text, ids in zip(texts, codec.encode_all(texts), strict=True):
+        ids = np.frombuffer(ids, "<i4")
+        want = library.encode(text)  # paths of equal weight may differ: the library adds up from the text's start
+        weigh = lambda ids: sum(library.get_score(i) if library.is_byte(i) is False else 0.0 for i in ids)
+        assert weigh(ids.tolist()) == pytest.approx(weigh(want), abs=1e-3) and [i for i in ids.tolist() if library.is_byte(i)] == [i for i in want if library.is_byte(i)], text
+        assert codec.decode(ids) == codec.normal(text)
+
+
 # --- op8
 
 PAGE = """<!DOCTYPE html><html><head><title>t</title><script>var x = "<p>no</p>";</script></head><body class="with-sidebar"><header><h1>Site</h1></header>
