@@ -13,7 +13,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-GROUP_BYTES, MAX_GROUP_BYTES, MIN_ROW_BYTES = 8 << 20, 256 << 20, 512
+GROUP_BYTES, MAX_GROUP_BYTES, MIN_ROW_BYTES = 8 << 20, 64 << 20, 512
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -21,12 +21,15 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """A new folder that driver and executors share: below spark.checkpoint.dir, and only where that is unset (tests) below the temp folder."""
-    root = spark.conf.get("spark.checkpoint.dir", None)
+    """A new folder that driver and executors share: below spark.checkpoint.dir or the context's checkpoint folder. Only a local session that has
+    neither (as in tests) gets one below the temp folder."""
+    root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not root:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
         root = f"{tempfile.gettempdir()}/checkpoints"
-        if spark.sparkContext.getCheckpointDir() is None:
-            spark.sparkContext.setCheckpointDir(root)
+    if spark.sparkContext.getCheckpointDir() is None:
+        spark.sparkContext.setCheckpointDir(root)
     return f"{root.rstrip('/')}/ruleweave-{uuid.uuid4().hex}"
 
 
@@ -70,10 +73,10 @@ def lean(run: Callable[[Iterator], Iterator]) -> Callable[[Iterator], Iterator]:
 
 
 def group_count(total_bytes: int) -> int:
-    """Number of groups of documents: about 8 MB of text each while the corpus is small, up to 256 MB when it is huge.
+    """Number of groups of documents: about 8 MB of text each while the corpus is small, up to 64 MB when it is huge.
 
-    Groups and buckets exchange one row per pair, so groups grow with the square root of the corpus;
-    a row then keeps some hundred bytes of payload at any size.
+    Groups and buckets exchange one row per pair, so groups grow with the square root of the corpus, which keeps a row's payload at some
+    hundred bytes up to 8 TB; beyond that the bound on a worker's memory (about 100 bytes a word, so 1 GB) goes first.
     """
     per = min(MAX_GROUP_BYTES, max(GROUP_BYTES, math.isqrt(MIN_ROW_BYTES * max(1, total_bytes))))
     return max(1, math.ceil(total_bytes / per))

@@ -22,6 +22,8 @@ from pyspark.sql import functions as F
 from ruleweave.llm.common import shared_dir
 
 SALTS = 16
+# The ledger's two tables.
+TABLES = {"scanned": "blob string, kind string, version int", "findings": "blob string, kind string, start long, end long, version int"}
 MASK = "[secret]"
 
 
@@ -92,11 +94,14 @@ class Ledger:
         self.spark, self.rules = spark, rules
         self.folder = folder or shared_dir(spark)
 
-    def _read(self, name: str) -> DataFrame | None:
+    def _read(self, name: str) -> DataFrame:
+        """A table of the ledger, empty as long as nothing was written."""
         try:
-            return self.spark.read.parquet(f"{self.folder}/{name}")
-        except AnalysisException:  # nothing was ever written
-            return None
+            return self.spark.read.schema(TABLES[name]).parquet(f"{self.folder}/{name}")
+        except AnalysisException as problem:
+            if problem.getCondition() != "PATH_NOT_FOUND":
+                raise
+            return self.spark.createDataFrame([], TABLES[name])
 
     def _versions(self) -> Column:
         return F.create_map(*[F.lit(x) for r in self.rules for x in (r.kind, r.version)])
@@ -106,11 +111,11 @@ class Ledger:
         paths = _paths(docs, id_col, text_col)
         wanted = paths.groupBy("blob").agg(F.min("rw_key").alias("rw_key"))
         everything = F.array(*[F.lit(r.kind) for r in self.rules])
-        scanned = self._read("scanned")
-        if scanned is None:
+        scanned = self._read("scanned").filter(F.col("version") == self._versions()[F.col("kind")])
+        if scanned.isEmpty():
             todo = wanted.withColumn("todo", everything)
         else:
-            current = scanned.filter(F.col("version") == self._versions()[F.col("kind")]).groupBy("blob").agg(F.collect_set("kind").alias("seen"))  # at most a kind a rule
+            current = scanned.groupBy("blob").agg(F.collect_set("kind").alias("seen"))  # at most a kind a rule
             todo = wanted.join(current, "blob", "left").select("blob", "rw_key", F.array_except(everything, F.coalesce("seen", F.array().cast("array<string>"))).alias("todo")).filter(F.size("todo") > 0)
         texts = docs.select(_key(F.col(id_col)).alias("rw_key"), F.coalesce(text_col, F.lit("")).alias("text"))
         blobs = texts.join(todo, "rw_key").filter(F.col("blob") == F.sha2("text", 256))
@@ -120,7 +125,8 @@ class Ledger:
         return self
 
     def findings(self, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-        """One row a path: doc_id, blob, and found: its spans (start, rule number, kind, end) in order, empty if there are none."""
+        """One row a path: doc_id, blob, and found: its spans (start, rule number, kind, end) in order, empty if there are none or nothing
+        was scanned yet."""
         numbers = F.create_map(*[F.lit(x) for k, r in enumerate(self.rules) for x in (r.kind, k)])
         current = self._read("findings").filter(F.col("version") == self._versions()[F.col("kind")]).dropDuplicates(["blob", "kind", "start", "end"])
         of_blob = current.groupBy("blob").agg(F.array_sort(F.collect_list(F.struct("start", numbers[F.col("kind")].alias("number"), "kind", "end"))).alias("found"))

@@ -3,9 +3,11 @@
 Each text is encoded once and only its length is kept. One row for each distinct length, with suffix sums,
 answers every question about totals: how many tokens there are, how many remain if texts are cut to a
 context limit, and which length stands at a quantile. The suffix sums are taken in two levels (inside runs of
-lengths, then over runs), so no single task has to sort the whole histogram.
+lengths, then over runs), so no single task has to sort the whole histogram: runs are ranges of about equally many lengths, one
+a shuffle partition, and the driver adds up one pair of sums a run.
 
-Null texts count as empty (length 0); an empty table gives an empty histogram.
+Null texts count as empty (length 0), repeated rows count each, a text of any length is encoded whole; an empty table gives an empty
+histogram.
 """
 
 from __future__ import annotations
@@ -16,9 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ruleweave.llm.common import checkpointed
-
-RUN = 4096
+from ruleweave.llm.common import shuffle_width, small_batches, staged
 
 
 def byte_bpe(path: str, pattern: str):
@@ -43,19 +43,24 @@ def lengths(docs: DataFrame, path: str, pattern: str, text_col: str = "text") ->
         for batch in batches:
             yield pa.RecordBatch.from_arrays([pa.array([len(encode(t)) if t else 0 for t in batch[0].to_pylist()], pa.int64())], ["n_tokens"])
 
+    small_batches(docs.sparkSession)
     return docs.select(F.col(text_col).alias("rw_text")).mapInArrow(run, "n_tokens long")
 
 
-def histogram(lengths: DataFrame, run: int = RUN) -> DataFrame:
+def histogram(lengths: DataFrame, runs: int | None = None) -> DataFrame:
     """For each distinct n_tokens: n_docs, sum_tokens; docs_from and tokens_from (documents of this length or longer);
     truncated_total (tokens left if every text is cut to n_tokens) and share_to (share of documents up to this length)."""
-    counts = lengths.groupBy("n_tokens").agg(F.count("*").alias("n_docs")).withColumn("sum_tokens", F.col("n_tokens") * F.col("n_docs")).withColumn("rw_run", F.floor(F.col("n_tokens") / run))
-    counts = checkpointed(counts)  # read three times below; a row for each distinct length
-    runs = counts.groupBy("rw_run").agg(F.sum("n_docs").alias("rw_docs"), F.sum("sum_tokens").alias("rw_tokens"))
-    later = runs.alias("a").join(runs.alias("b"), F.col("b.rw_run") > F.col("a.rw_run"), "left").groupBy("a.rw_run").agg(F.coalesce(F.sum("b.rw_docs"), F.lit(0)).alias("rw_docs"), F.coalesce(F.sum("b.rw_tokens"), F.lit(0)).alias("rw_tokens"))
-    total = runs.agg(F.sum("rw_docs").alias("rw_all"), F.sum("rw_tokens").alias("rw_all_tokens"))
+    counts = lengths.groupBy("n_tokens").agg(F.count("*").alias("n_docs")).withColumn("sum_tokens", F.col("n_tokens") * F.col("n_docs"))
+    counts = counts.repartitionByRange(runs or shuffle_width(lengths.sparkSession), "n_tokens")
+    counts = staged(counts.withColumn("rw_run", F.spark_partition_id()))  # read twice; a row for each distinct length
+    sums = sorted(counts.groupBy("rw_run").agg(F.sum("n_docs").alias("docs"), F.sum("sum_tokens").alias("tokens")).collect())  # a row a run
+    later, docs_after, tokens_after = [], 0, 0
+    for r in reversed(sums):
+        later.append((r.rw_run, docs_after, tokens_after))
+        docs_after, tokens_after = docs_after + r.docs, tokens_after + r.tokens
+    later = lengths.sparkSession.createDataFrame(later, "rw_run int, rw_docs long, rw_tokens long")
     w = Window.partitionBy("rw_run").orderBy(F.desc("n_tokens"))
-    out = counts.join(F.broadcast(later), "rw_run").crossJoin(F.broadcast(total))  # a row for each run of lengths, and one row
+    out = counts.join(F.broadcast(later), "rw_run").withColumns({"rw_all": F.lit(docs_after).cast("long"), "rw_all_tokens": F.lit(tokens_after).cast("long")})
     out = out.withColumn("docs_from", F.sum("n_docs").over(w) + F.col("rw_docs")).withColumn("tokens_from", F.sum("sum_tokens").over(w) + F.col("rw_tokens"))
     below = F.col("rw_all_tokens") - F.col("tokens_from")
     return out.select(

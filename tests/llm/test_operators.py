@@ -217,7 +217,7 @@ def test_token_counts(spark, odd, none):
     path, pattern = tokenizer_file(BYTE_TOKENIZER), public_tokenizers.PATTERN
     e = token_counts.byte_bpe(path, pattern)
     want = sorted(len(e.encode_ordinary(r.text or "")) for r in odd.collect())
-    hist = token_counts.histogram(token_counts.lengths(odd, path, pattern), run=5)
+    hist = token_counts.histogram(token_counts.lengths(odd, path, pattern), runs=3)
     rows = {r.n_tokens: r for r in hist.collect()}
     for n, r in rows.items():
         assert r.n_docs == want.count(n) and r.docs_from == sum(x >= n for x in want) and r.tokens_from == sum(x for x in want if x >= n)
@@ -421,6 +421,7 @@ def test_secret_spans(spark, none, docs):
             assert (r.n_assign, r.n_access, r.n_hex) == tuple(want.count(f"{k}:") for k in ("assign", "access", "hex"))
             assert set(filter(None, want.split(","))) <= set(r.spans.split(","))
     assert secret_ledger.Ledger(spark).scan(none).findings(none).count() == 0
+    assert all(r.found == [] for r in secret_ledger.Ledger(spark).findings(df).collect())  # nothing was scanned
 
 
 def test_ledger_scans_only_what_is_new(spark, tmp_path):
