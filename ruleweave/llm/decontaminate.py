@@ -3,13 +3,15 @@
 Items are short, documents long, so their Jaccard similarity says little; what counts is containment, the share
 of an item's distinct shingles that the document holds. Items fall into classes by size, powers of two. A class
 fixes the number k of MinHash values kept for an item: its k shingles with the smallest hashes, with k so large that
-an item of the class can't miss all of them and still reach the threshold. A document probes the classes' sketches
-with its shingles; (document, item) pairs with enough hits are candidates, and no pair that reaches the threshold is
-lost. Candidates are verified by exact containment of shingles, compared as text.
+an item of the class can't miss all of them and still reach the threshold. Such sketches are the smallest hashes, so a document's signature
+against all classes is the part of its shingles with hashes up to the largest that any sketch keeps (its bottom MinHash values, as many as
+that share of the hash space holds). Documents probe the sketches with their signatures; (document, item) pairs with enough hits are
+candidates, and no pair that reaches the threshold is lost. Candidates are verified by exact containment of shingles, compared as text.
+(Banded signatures of a fixed length for whole documents would lose pairs: 30 shingles of 5,000 have a Jaccard similarity of 0.006.)
 
 Words are maximal runs of letters and digits, in lower case; a shingle is five words. Items with fewer words have no
 shingles and are never found; null and empty texts hold nothing. Rows with equal doc_id count as parts of one document, rows with
-equal item_id as parts of one item; items without an id take no part.
+equal item_id as parts of one item. An item without an id is one by its text and is reported with a null item_id.
 """
 
 from __future__ import annotations
@@ -50,15 +52,21 @@ def sketches(items: DataFrame, threshold: float = THRESHOLD, words: int = WORDS)
 def leaks(docs: DataFrame, items: DataFrame, threshold: float = THRESHOLD, words: int = WORDS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, item_id, n_item, n_shared, containment of every pair with a containment of at least the threshold."""
     texts = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("doc_id"), F.col(text_col).alias("rw_text"))
-    items = items.select("item_id", "text").filter("item_id is not null")
+    kind = dict(items.dtypes)["item_id"]
+    # inside, an item is named by its id, or by its text if it has none
+    own_name = F.concat(F.lit("t"), F.sha2(F.coalesce("text", F.lit("")), 256))
+    items = items.select(F.coalesce(F.concat(F.lit("i"), F.col("item_id").cast("string")), own_name).alias("item_id"), "text")
     sketch = sketches(items, threshold, words)
+    cut = sketch.agg(F.max("h")).first()[0]  # one number
+    if cut is None:
+        cut = NO_ID
     own = items.select("item_id", F.explode(F.array_distinct(shingles(F.col("text"), words, hashed=False))).alias("shingle")).distinct()
     small = own.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS  # benchmarks are small; a huge one is joined by a shuffle
     held = F.broadcast if small else (lambda df: df)
-    probes = texts.select("doc_id", F.explode(F.array_distinct(shingles(F.col("rw_text"), words))).alias("h"))
+    probes = texts.select("doc_id", F.explode(F.array_distinct(F.filter(shingles(F.col("rw_text"), words), lambda h: h <= cut))).alias("h"))
     candidates = probes.join(held(sketch), "h").groupBy("doc_id", "item_id", "n_item", "needed").agg(F.count_distinct("h").alias("hits")).filter("hits >= needed").select("doc_id", "item_id", "n_item")
     suspects = candidates.groupBy("doc_id").agg(F.map_from_entries(F.collect_set(F.struct("item_id", "n_item"))).alias("rw_items"))  # a document has at most all items
     shared = texts.join(suspects, "doc_id").select("doc_id", "rw_items", F.explode(F.array_distinct(shingles(F.col("rw_text"), words, hashed=False))).alias("shingle"))
     shared = shared.join(held(own), "shingle").filter(F.map_contains_key("rw_items", F.col("item_id")))
     counted = shared.select("doc_id", "item_id", F.col("rw_items")[F.col("item_id")].alias("n_item"), "shingle").groupBy("doc_id", "item_id", "n_item").agg(F.count_distinct("shingle").alias("n_shared"))
-    return counted.filter(F.col("n_shared") >= threshold * F.col("n_item") - 1e-9).select(F.nullif("doc_id", F.lit(NO_ID)).alias("doc_id"), "item_id", F.col("n_item").cast("long").alias("n_item"), "n_shared", (F.col("n_shared") / F.col("n_item")).alias("containment"))
+    return counted.filter(F.col("n_shared") >= threshold * F.col("n_item") - 1e-9).select(F.nullif("doc_id", F.lit(NO_ID)).alias("doc_id"), F.when(F.col("item_id").startswith("i"), F.expr("substring(item_id, 2)")).cast(kind).alias("item_id"), F.col("n_item").cast("long").alias("n_item"), "n_shared", (F.col("n_shared") / F.col("n_item")).alias("containment"))

@@ -203,7 +203,7 @@ def links(nodes: DataFrame, texts: DataFrame, threshold: float = THRESHOLD, bloc
     texts = staged(texts.dropDuplicates(["id"]) if repeated else texts)  # those that stand in a bucket at all
     # the centre of a star is the text that shares most sketches: what others were copied from, and the same in most of its buckets
     wide = members.join(members.groupBy("id").agg(F.sum("size").alias("weight")), "id")
-    centres = wide.groupBy("key").agg(F.max(F.struct("weight", (-F.col("id")).alias("minus"))).alias("top")).select("key", (-F.col("top.minus")).alias("a"))
+    centres = wide.groupBy("key").agg(F.max(F.struct("weight", F.bitwise_not("id").alias("rest"))).alias("top")).select("key", F.bitwise_not("top.rest").alias("a"))  # of equal weights the smallest id
     star = members.join(centres, "key").filter("id <> a").select(F.least("a", "id").alias("a"), F.greatest("a", "id").alias("b")).distinct()
     stars = checkpointed(verified(star, texts, threshold))
     parts = checkpointed(components(stars))

@@ -7,8 +7,8 @@ candidates. The ascent ends where the k-th best score found so far, s, leaves li
 a score of s or more shares x bits of a tree with probability p(s)^x, and misses all trees with (1 - p(s)^x)^trees <= miss.
 Easy queries stop far down, hard ones climb, to the root (all vectors) if need be. So recall is set by `miss`, at any size.
 
-Vectors are dealt to shards by a hash of their id; a shard builds its forest, answers the queries, in blocks, and the shards'
-answers are merged. Equal vectors are one entry with its smallest ids (k + 1 of them, all that can be in an answer). Nearness is the inner product
+Vectors are dealt to shards by a hash of their id, queries to blocks; a task has one shard and one block, builds the shard's forest and answers
+the block's queries, and the answers of all shards are merged. What a task holds is bounded by the two sizes, whatever the table. Equal vectors are one entry with its smallest ids (k + 1 of them, all that can be in an answer). Nearness is the inner product
 in double precision. If lengths differ, an added coordinate makes them equal for hashing (never for scoring).
 
 Vectors that are null, zero, of another dimension than most, or with null or non-finite components take no part, neither as query nor as
@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 TREES, MISS, BITS = 32, 0.05, 64
-SHARD_ROWS, QUERY_BLOCK = 100_000, 2048
+SHARD_ROWS, QUERY_ROWS, QUERY_BLOCK, MOST_TASKS = 20_000, 20_000, 2048, 20_000
 RESULT = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("score", pa.float64())])
 
 
@@ -176,15 +176,20 @@ def usable(vectors: DataFrame, id_col: str = "vec_id", vector_col: str = "embedd
     return v.filter(F.size("v") == (common.d if common else 0))
 
 
-def neighbours(vectors: DataFrame, queries_at: int = 20, k: int = 20, trees: int = TREES, miss: float = MISS, shard_rows: int = SHARD_ROWS) -> DataFrame:
+def neighbours(vectors: DataFrame, queries_at: int = 20, k: int = 20, trees: int = TREES, miss: float = MISS, shard_rows: int = SHARD_ROWS, query_rows: int = QUERY_ROWS) -> DataFrame:
     """query_id, rank, vec_id, score: the k nearest found of every row whose vec_id is divisible by queries_at."""
     v = usable(vectors)
-    facts = v.agg(F.count("*").alias("n"), F.max(F.aggregate("v", F.lit(0.0), lambda a, x: a + x * x)).alias("most")).first()
+    facts = v.agg(F.count("*").alias("n"), F.count_if(F.col("vec_id") % queries_at == 0).alias("asked"), F.max(F.aggregate("v", F.lit(0.0), lambda a, x: a + x * x)).alias("most")).first()
     shards = max(1, -(-facts.n // shard_rows))
     longest = float(np.sqrt(facts.most or 1.0)) * (1 + 1e-12)
-    held = v.withColumn("rw_shard", F.pmod(F.xxhash64("vec_id"), F.lit(shards)))
-    # every query meets every shard, a block of queries at a time
-    asked = v.filter(F.col("vec_id") % queries_at == 0).distinct().withColumn("rw_shard", F.explode(F.sequence(F.lit(0), F.lit(shards - 1)))).withColumn("rw_shard", F.col("rw_shard").cast("long"))
+    asked = v.filter(F.col("vec_id") % queries_at == 0).distinct()
+    blocks = max(1, -(-facts.asked // query_rows))
+    # every query meets every shard: a shard stands once for each block, a block once for each shard
+    every = lambda n, name: F.explode(F.sequence(F.lit(0).cast("long"), F.lit(n - 1).cast("long"))).alias(name)
+    held = v.select("vec_id", "v", F.pmod(F.xxhash64("vec_id"), F.lit(shards)).alias("rw_shard"), every(blocks, "rw_block"))
+    asked = asked.select("vec_id", "v", F.pmod(F.xxhash64("vec_id", "v"), F.lit(blocks)).alias("rw_block"), every(shards, "rw_shard"))
+    tasks = min(shards * blocks, MOST_TASKS)  # a stated number, so that small pairs of long work are not put into one task
+    held, asked = (df.withColumn("rw_pair", F.col("rw_shard") * blocks + F.col("rw_block")).repartition(tasks, "rw_pair") for df in (held, asked))
 
     def run(key: tuple[pa.Scalar, ...], index: pa.Table, queries: pa.Table) -> pa.Table:
         if not index.num_rows or not queries.num_rows:
@@ -193,7 +198,7 @@ def neighbours(vectors: DataFrame, queries_at: int = 20, k: int = 20, trees: int
         q_ids, q = _rows(queries)
         return pa.concat_tables([forest.answers(q_ids[a : a + QUERY_BLOCK], q[a : a + QUERY_BLOCK], miss) for a in range(0, len(q_ids), QUERY_BLOCK)])
 
-    found = held.groupBy("rw_shard").cogroup(asked.groupBy("rw_shard")).applyInArrow(run, "query_id long, vec_id long, score double")
+    found = held.groupBy("rw_pair").cogroup(asked.groupBy("rw_pair")).applyInArrow(run, "query_id long, vec_id long, score double")
     found = found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))  # over the vectors of a query
     w = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return found.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")

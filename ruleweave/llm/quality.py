@@ -10,7 +10,8 @@ A document is the mean vector of its tokens, and that of its shapes and marks. A
 `max_labelled` labelled rows (those with the smallest hash of their id), scores it; a temperature, fitted on rows that
 training left out, calibrates the probability.
 
-Null texts count as empty; empty texts have zero vectors and still get a score. Labels that are null are not used; without both labels
+Null texts count as empty; empty texts have zero vectors and still get a score. Rows that repeat an id are scored each; a label stands for the text
+of its id with the smallest hash. Labels that are null are not used; without both labels
 every score is the share of label 1 (0.5 without any).
 """
 
@@ -20,6 +21,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -31,6 +33,7 @@ MAX_LABELLED = 12_000
 SHAPES = 1 << 10
 HELD_OUT = 2
 BLOCK_ROWS = 512
+FAN_IN, FAN_LEVELS = 128, 2
 CHUNK_BYTES = 4 << 20
 _KIND = np.full(256, 3, np.uint8)
 _KIND[[9, 10, 11, 12, 13, 32]] = 0
@@ -131,19 +134,24 @@ def context_sums(docs: DataFrame, text_col: str = "text", reach: int = 2) -> np.
                     shapes += np.bincount(tokens.shape[:-gap][same] * SHAPES + tokens.shape[gap:][same], minlength=SHAPES * SHAPES)
         beside = shapes.reshape(SHAPES, SHAPES)
         np.add.at(total.reshape(BUCKETS, DIMENSIONS), shape_buckets(), (beside + beside.T) @ dense_index_vectors()[shape_buckets()])
-        blocks = total.astype("<i4").reshape(-1, BLOCK_ROWS * DIMENSIONS)
-        yield pa.RecordBatch.from_arrays([pa.array(range(len(blocks)), pa.int32()), pa.array([x.tobytes() for x in blocks], pa.binary())], ["block", "sums"])
+        blocks = total.astype("<i8").reshape(-1, BLOCK_ROWS * DIMENSIONS)
+        task = [TaskContext.get().partitionId()] * len(blocks)
+        yield pa.RecordBatch.from_arrays([pa.array(range(len(blocks)), pa.int32()), pa.array(task, pa.int64()), pa.array([x.tobytes() for x in blocks], pa.binary())], ["block", "part", "sums"])
 
     def add(key: tuple[pa.Scalar, ...], parts: pa.Table) -> pa.Table:
         total = np.zeros(BLOCK_ROWS * DIMENSIONS, np.int64)
         for raw in parts["sums"]:
-            total += np.frombuffer(raw.as_py(), "<i4")
-        return pa.table({"block": pa.array([key[0].as_py()], pa.int32()), "sums": pa.array([total.astype("<i8").tobytes()], pa.binary())})
-
-    rows = docs.select(F.col(text_col).alias("rw_text")).mapInArrow(lean(count), "block int, sums binary").groupBy("block").applyInArrow(add, "block int, sums binary").collect()  # buckets x dimensions numbers
+            total += np.frombuffer(raw.as_py(), "<i8")
+        return pa.table({"block": pa.array([key[0].as_py()], pa.int32()), "part": pa.array([key[1].as_py()], pa.int64()), "sums": pa.array([total.tobytes()], pa.binary())})
+
+    schema = "block int, part long, sums binary"
+    rows = docs.select(F.col(text_col).alias("rw_text")).mapInArrow(lean(count), schema)
+    for _ in range(FAN_LEVELS):  # a tree: a group adds up at most FAN_IN rows of 256 KB
+        rows = rows.withColumn("part", F.floor(F.col("part") / FAN_IN)).groupBy("block", "part").applyInArrow(add, schema)
+    rows = rows.collect()  # buckets x dimensions numbers, once for every FAN_IN ** FAN_LEVELS tasks
     out = np.zeros((BUCKETS // BLOCK_ROWS, BLOCK_ROWS * DIMENSIONS), np.int64)
     for r in rows:
-        out[r.block] = np.frombuffer(r.sums, "<i8")
+        out[r.block] += np.frombuffer(r.sums, "<i8")
     return out.reshape(BUCKETS, DIMENSIONS)
 
 
@@ -249,7 +257,8 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     shared = spark.sparkContext.broadcast(vectors)
     usable = labels.select(F.col("doc_id").cast("long").alias("id"), F.col("quality").cast("int").alias("y")).filter("id is not null and y in (0, 1)").filter(~held_out(F.col("id")))
     chosen = usable.dropDuplicates(["id"]).orderBy(F.xxhash64("id"), "id").limit(max_labelled)
-    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("rw_text")).join(F.broadcast(chosen), "id")  # at most max_labelled rows
+    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("rw_text")).join(F.broadcast(chosen), "id")
+    rows = rows.groupBy("id", "y").agg(F.min_by("rw_text", F.xxhash64("rw_text")).alias("rw_text"))  # one text an id: at most max_labelled rows
 
     def features(batches):
         for batch in batches:

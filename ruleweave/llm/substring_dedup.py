@@ -2,14 +2,17 @@
 
 Every text is cut into words. Non-overlapping blocks of `block` words, counted from the start of each text,
 are the references; every rolling window of as many words is a probe. A window of `window` >= 2 * block - 1
-words always holds a whole block, so two equal windows in different texts always meet in an anchor. Windows
-around an anchor are then compared whole (96-bit hashes), which extends the hit to the maximal exact repeat.
+words always holds a whole block, so two equal windows in different texts always meet in an anchor. All
+windows that hold an anchor are then compared whole, to the left and the right of it, which extends the hit to the maximal exact repeat.
 
 What is exchanged is small: documents fall into groups of some megabytes, a group sends the distinct
 hashes it has, packed and sorted into buckets of the hash space, and gets back one bit a hash: does this
 hash matter. A hash that a million documents share is sent once by each group, so no bucket is hot. The
 text itself is shuffled once, to form the groups; all steps read that one exchange.
 
+A word goes if any window over it does, so neighbouring hits run together into maximal repeats, whatever their length; two windows count as
+equal if both of their independent hashes are (64 and 32 bits of all 13 words).
+
 Null and empty texts have no words. A null doc_id counts as larger than any other. Rows that repeat a doc_id
 do not remove each other's words (only a smaller id does).
 """
@@ -184,7 +187,8 @@ def repeats(docs: DataFrame, window: int = 13, block: int = 7, id_col: str = "do
     n_groups = group_count(total)
     n_buckets = n_groups
     grouped = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("rw_id"), F.col(id_col).isNull().alias("rw_no_id"), F.col(text_col).alias("rw_text"))
-    grouped = grouped.withColumn("rw_group", F.pmod(F.xxhash64("rw_id"), F.lit(n_groups)))
+    # rows that share a doc_id, or have none, are spread like others: what counts between them is the order of ids alone
+    grouped = grouped.withColumn("rw_group", F.pmod(F.xxhash64("rw_id", "rw_text"), F.lit(n_groups)))
     in_schema, out_schema = "rw_group long, rw_bucket long, rw_keys binary, rw_marks binary", "rw_group long, rw_bucket long, rw_step long, rw_bits binary"
 
     def offer(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:

@@ -146,7 +146,7 @@ def test_prefix_forest_repeated_rows(spark):
 
 def test_decontamination(spark, odd, none):
     item = " ".join(f"w{k}" for k in range(20))
-    items = spark.createDataFrame([(1, item), (1, item), (2, "too short"), (3, None), (4, "")], "item_id long, text string")
+    items = spark.createDataFrame([(1, item), (1, item), (2, "too short"), (3, None), (4, ""), (None, None)], "item_id long, text string")
     inside = LONG + " " + item.upper().replace(" ", "!! ") + " " + LONG
     part = " ".join(f"w{k}" for k in range(17))
     less = " ".join(f"w{k}" for k in range(16))
@@ -154,6 +154,10 @@ def test_decontamination(spark, odd, none):
     found = decontaminate.leaks(spark.createDataFrame([(*r, 1, "x") for r in rows], "doc_id long, text string, item_id int, h string"), items).collect()
     assert {(r.doc_id, r.item_id, r.n_item, r.n_shared) for r in found} == {(1, 1, 16, 16), (2, 1, 16, 13), (None, 1, 16, 16), (5, 1, 16, 16)}
     assert len(found) == 4
+    others = [" ".join(f"v{k}x{j}" for j in range(25)) for k in range(3)]
+    nameless = spark.createDataFrame([(None, others[0]), (None, others[1]), (7, others[2])], "item_id long, text string")
+    held = spark.createDataFrame([(k, f"a b c d e {t} f g") for k, t in enumerate([*others, "none of them at all"])], "doc_id long, text string")
+    assert sorted((r.doc_id, r.item_id) for r in decontaminate.leaks(held, nameless).collect()) == [(0, None), (1, None), (2, 7)]
     assert decontaminate.leaks(odd, items).count() == 0 and decontaminate.leaks(none, items).count() == 0 and decontaminate.leaks(odd, items.limit(0)).count() == 0
 
 
