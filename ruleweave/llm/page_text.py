@@ -1,18 +1,20 @@
 """Main text of web pages by site template removal (op8).
 
-A page is parsed into a tree of elements. Each block element outside paragraphs has a hash of its subtree (tag, class and text);
-Spark counts, for each host, on how many different pages a hash stands, and subtrees that recur on many of them
-are deleted as the site's template. Elements whose tag, class, id or role says that they are no article (menus, sidebars,
-adverts, forms, comments ...) go as well: outside articles by any word of their marks, inside by tag or, for blocks that are
-no paragraphs, by a whole class or role. Headings, paragraphs and inline elements never go by their marks. What is left of the article elements, or else of all outermost main elements or the body, is
+A page is parsed into a tree of elements. Each block element outside paragraphs has a hash of its subtree (tag, class, text and its parts'
+hashes, in one pass from the leaves up); Spark counts, for each host, on how many different pages a hash stands, and subtrees that recur
+on many of them are deleted as the site's template. What is left is judged by its marks: elements whose tag, class, id or role says that they are
+no article (menus, sidebars, adverts, forms, comments ...) go as well: outside articles by any word of their marks, or if they are
+nearly all links; inside by tag or, for blocks that are no paragraphs, by a whole class or role. Headings, paragraphs and inline elements
+never go by their marks. What is left of the article elements, or else of all outermost main elements or the body, is
 the text: one line a block, white space inside a block as one space, character references decoded.
 
 Pages that are copies of each other count once, so a copied article is no template; paragraphs and headings
 inside an article are never taken for one. A hash is a template if it stands on at least `least` different pages of the host,
-however many pages the host has. A page gets only those templates that stand in its text, so no row grows with the host, and pages
-whose text has no block that could be one are done without them.
+however many pages the host has. Every page is parsed once; those whose text holds a possible template (only their html moves) are joined with
+the templates that stand in their text, so no row grows with the host, and blocks of a host are counted by block, so no host is one task.
 
-A null page is an empty page; a null url is a host of its own (empty name). Deep nesting, unclosed and misnested tags are read leniently.
+A null page is an empty page; a null url is a host of its own (empty name); repeated rows are pages of one text each; very long and deeply nested
+pages cost time in proportion. Unclosed and misnested tags are read leniently.
 """
 
 from __future__ import annotations
@@ -21,14 +23,14 @@ import hashlib
 import html
 import re
 
-import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ruleweave.llm.common import staged
+from ruleweave.llm.common import lean, small_batches, staged
 
 LEAST = 3
+MENU_LINKS, MENU_SHARE = 3, 0.8
 # Element names by role in HTML.
 RAW = ("script", "style", "noscript", "template", "iframe", "object", "textarea", "title", "noembed", "noframes", "xmp")
 VOID = set("area base br col embed hr img input link meta param source track wbr".split())
@@ -163,28 +165,75 @@ def _walk(root: Node):
         stack.extend((x, inside) for x in reversed(node.parts) if not isinstance(x, str))
 
 
-def subtree_hashes(root: Node) -> dict[int, Node]:
+class Measure:
+    """Of one subtree: a hash of its text and structure, characters of its text and of its links' text, links, and whether a paragraph or heading has text."""
+
+    __slots__ = ("digest", "chars", "link_chars", "links", "prose")
+
+    def __init__(self):
+        self.digest, self.chars, self.link_chars, self.links, self.prose = b"", 0, 0, 0, False
+
+    def menu(self) -> bool:
+        """Nearly all links and no paragraph: a menu, whatever its tag is called."""
+        return self.links >= MENU_LINKS and not self.prose and self.link_chars >= MENU_SHARE * self.chars
+
+
+def measured(root: Node) -> dict[int, Measure]:
+    """The measures of all nodes, by id, each from its parts' in one pass from the leaves up; a subtree without text has no digest."""
+    out: dict[int, Measure] = {}
+    stack: list[tuple[Node, bool]] = [(root, False)]
+    while stack:
+        node, ready = stack.pop()
+        if not ready:
+            stack.append((node, True))
+            stack.extend((x, False) for x in node.parts if not isinstance(x, str))
+            continue
+        m, parts = Measure(), []
+        for x in node.parts:
+            if isinstance(x, str):
+                text = " ".join(html.unescape(x).split())
+                if text:
+                    m.chars += len(text)
+                    parts.append(text.encode("utf-8", "surrogatepass"))
+            else:
+                inner = out[id(x)]
+                m.chars, m.link_chars, m.links, m.prose = m.chars + inner.chars, m.link_chars + inner.link_chars, m.links + inner.links, m.prose or inner.prose
+                if inner.digest:
+                    parts.append(b"\1" + inner.digest)
+        if parts:
+            m.digest = hashlib.blake2b(b"\0".join([f"{node.tag}\0{node.marks}".encode("utf-8", "surrogatepass"), *parts]), digest_size=8).digest()
+            m.prose |= node.tag in TEXTUAL
+        if node.tag == "a":
+            m.link_chars, m.links = m.chars, m.links + 1
+        out[id(node)] = m
+    return out
+
+
+def subtree_hashes(root: Node, measures: dict[int, Measure] | None = None) -> dict[int, tuple[int, Node]]:
     """Hashes of the subtrees that may be template: block elements, but no article and, inside one, no paragraph."""
+    measures = measures or measured(root)
     holders: set[int] = set()
     for node, _ in _walk(root):
         if node.tag in ("article", "body", "html") or node.main():
             up = node
-            while up is not None:
+            while up is not None and id(up) not in holders:
                 holders.add(id(up))
                 up = up.up
     out = {}
     for node, inside in _walk(root):
         if id(node) in holders or node.tag in INLINE or inside and node.tag in PARAGRAPHS:
             continue
-        text = _text(node)
-        if text:
-            out[id(node)] = (_hash(node.tag, node.marks, text), node)
+        digest = measures[id(node)].digest
+        if digest:
+            out[id(node)] = (int.from_bytes(digest, "big", signed=True), node)
     return out
 
 
 def main_text(root: Node, templates: set[int], asked: set[int] | None = None) -> str:
-    """The article's blocks, one line each. asked: gets the hashes of the blocks in the text that a template could delete."""
-    hashes = {key: h for key, (h, _) in subtree_hashes(root).items()} if templates or asked is not None else {}
+    """The article's blocks, one line each. Templates go first; what is left is judged by marks and tags. asked: gets the hashes of the blocks in
+    the text that a template could delete."""
+    measures = measured(root)
+    hashes = {key: h for key, (h, _) in subtree_hashes(root, measures).items()}
     gone = {key for key, h in hashes.items() if h in templates}
     holders: set[int] = set()
     around_main: set[int] = set()
@@ -192,7 +241,7 @@ def main_text(root: Node, templates: set[int], asked: set[int] | None = None) ->
     for node, _ in _walk(root):
         if node.main() or node.tag == "article" and not node.remark():
             up = node.up
-            while up is not None:
+            while up is not None and (id(up) not in holders or node.main() and id(up) not in around_main):
                 holders.add(id(up))
                 if node.main():
                     around_main.add(id(up))
@@ -216,7 +265,7 @@ def main_text(root: Node, templates: set[int], asked: set[int] | None = None) ->
             return node.tag == "footer" or node.tag not in PARAGRAPHS and (node.remark() or node.aside())
         if holder:
             return node.remark()  # where each comment is an article of its own
-        return node.tag in DROPPED_OUTSIDE or node.hinted(HINTS) or node.hinted(HEAD_HINTS)
+        return node.tag in DROPPED_OUTSIDE or node.hinted(HINTS) or node.hinted(HEAD_HINTS) or measures[id(node)].menu()
 
     def live(start: Node):
         stack = [(start, False)]
@@ -274,69 +323,50 @@ def _host(url):
     return F.lower(F.coalesce(F.regexp_extract(url, r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/:?#]+)", 1), F.lit("")))
 
 
-def page_templates(pages: DataFrame, least: int = LEAST) -> DataFrame:
-    """host, page (hashes of the host and of a page's html), templates: the hashes of blocks in its text that stand on `least` or more different pages of the host."""
+def read_pages(pages: DataFrame) -> DataFrame:
+    """One row a page, each parsed once: page_id, url, host and page (hashes of the host and of the html), mark (of its text), hashes (its subtrees
+    that may be template), asked (those of them that stand in its text), text (nothing deleted yet) and html (only where something is asked)."""
+    small_batches(pages.sparkSession)
 
     def run(batches):
         for batch in batches:
-            marks, hashes, wanted = [], [], []
+            marks, hashes, wanted, texts, sources = [], [], [], [], []
             for page in batch["html"].to_pylist():
-                root, asked = parse(page), set()
-                main_text(root, set(), asked)
+                asked: set[int] = set()
+                root = parse(page or "")
+                texts.append(main_text(root, set(), asked))
                 marks.append(_hash(_text(root)))
                 hashes.append(sorted({h for h, _ in subtree_hashes(root).values()}))
                 wanted.append(sorted(asked))
+                sources.append(page if asked else None)
             lists = [pa.array(x, pa.list_(pa.int64())) for x in (hashes, wanted)]
-            yield pa.RecordBatch.from_arrays([batch["host"], batch["page"], pa.array(marks, pa.int64()), *lists], ["host", "page", "mark", "hashes", "asked"])
+            columns = [*(batch[c] for c in ("page_id", "url", "host", "page")), pa.array(marks, pa.int64()), *lists, pa.array(texts, pa.string()), pa.array(sources, pa.string())]
+            yield pa.RecordBatch.from_arrays(columns, ["page_id", "url", "host", "page", "mark", "hashes", "asked", "text", "html"])
 
-    seen = pages.filter("html <> ''").select(F.xxhash64(_host(F.col("url"))).alias("host"), _page().alias("page"), "html")
-    seen = staged(seen.mapInArrow(run, "host long, page long, mark long, hashes array<long>, asked array<long>"))  # read twice, parsed once
-    block = lambda hashes: F.explode(F.transform(hashes, lambda h: h.bitwiseXOR(F.col("host")))).alias("block")  # noqa: E731  a block of a host in one number
-    recurring = seen.select(block("hashes"), "mark").distinct().groupBy("block").agg(F.count("*").alias("n")).filter(F.col("n") >= least).select("block")
-    wanted = seen.filter(F.size("asked") > 0).select("host", "page", block("asked"))
-    found = wanted.join(recurring, "block", "left_semi")
-    return found.groupBy("host", "page").agg(F.collect_set(F.col("block").bitwiseXOR(F.col("host"))).alias("templates"))
+    narrow = pages.select(F.col("page_id").cast("long").alias("page_id"), "url", F.xxhash64(_host(F.col("url"))).alias("host"), F.xxhash64("html").alias("page"), "html")
+    return narrow.mapInArrow(lean(run), "page_id long, url string, host long, page long, mark long, hashes array<long>, asked array<long>, text string, html string")
 
 
-def _page():
-    return F.xxhash64("html")
+def page_templates(seen: DataFrame, least: int = LEAST) -> DataFrame:
+    """host, page, templates: the asked hashes of read pages that stand on `least` or more different pages of the host."""
+    block = lambda hashes: F.explode(F.transform(hashes, lambda h: h.bitwiseXOR(F.col("host")))).alias("block")  # noqa: E731  a block of a host in one number
+    recurring = seen.select(block("hashes"), "mark").distinct().groupBy("block").agg(F.count("*").alias("n")).filter(F.col("n") >= least).select("block")
+    wanted = seen.filter(F.size("asked") > 0).select("host", "page", block("asked")).distinct()
+    return wanted.join(recurring, "block", "left_semi").groupBy("host", "page").agg(F.collect_list(F.col("block").bitwiseXOR(F.col("host"))).alias("templates"))
 
 
 def main_texts(pages: DataFrame, least: int = LEAST) -> DataFrame:
     """page_id, url, text, n_chars of every page."""
-    narrow = pages.select(F.col("page_id").cast("long").alias("page_id"), "url", "html")
-
-    def written(batch, rows, texts):
-        return pa.RecordBatch.from_arrays([batch["page_id"].take(rows), batch["url"].take(rows), pa.array(texts, pa.string()), pa.array(np.array([len(t) for t in texts], np.int64))], ["page_id", "url", "text", "n_chars"])
-
-    def settled(batches):
-        for batch in batches:
-            rows, texts = [], []
-            for k, page in enumerate(batch["html"].to_pylist()):
-                asked: set[int] = set()
-                text = main_text(parse(page), set(), asked) if page else ""
-                if not asked:
-                    rows.append(k)
-                    texts.append(text)
-            yield written(batch, pa.array(rows, pa.int64()), texts)
-
-    def unsettled(batches):
-        for batch in batches:
-            rows = []
-            for k, page in enumerate(batch["html"].to_pylist()):
-                asked: set[int] = set()
-                if page:
-                    main_text(parse(page), set(), asked)
-                if asked:
-                    rows.append(k)
-            yield pa.RecordBatch.from_arrays([batch[c].take(pa.array(rows, pa.int64())) for c in ("page_id", "url", "html")], ["page_id", "url", "html"])
+    seen = staged(read_pages(pages))  # read three times
 
     def cleaned(batches):
         for batch in batches:
-            texts = [main_text(parse(page), set(t or ())) for page, t in zip(batch["html"].to_pylist(), batch["templates"].to_pylist(), strict=True)]
-            yield written(batch, pa.array(range(len(texts)), pa.int64()), texts)
-
-    result = "page_id long, url string, text string, n_chars long"
-    rest = narrow.mapInArrow(unsettled, "page_id long, url string, html string").withColumn("host", F.xxhash64(_host(F.col("url")))).withColumn("page", _page())
-    joined = rest.join(page_templates(pages, least), ["host", "page"], "left").select("page_id", "url", "html", "templates")
-    return narrow.mapInArrow(settled, result).unionByName(joined.mapInArrow(cleaned, result))
+            texts = []
+            for page, text, templates in zip(*(batch[c].to_pylist() for c in ("html", "text", "templates")), strict=True):
+                texts.append(main_text(parse(page), set(templates)) if templates else text)
+            yield pa.RecordBatch.from_arrays([batch["page_id"], batch["url"], pa.array(texts, pa.string())], ["page_id", "url", "text"])
+
+    asking = seen.filter(F.size("asked") > 0).join(page_templates(seen, least), ["host", "page"], "left").select("page_id", "url", "html", "text", "templates")
+    done = seen.filter(F.size("asked") == 0).select("page_id", "url", "text")
+    done = done.unionByName(asking.mapInArrow(lean(cleaned), "page_id long, url string, text string"))
+    return done.withColumn("n_chars", F.length("text").cast("long"))

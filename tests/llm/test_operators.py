@@ -338,6 +338,7 @@ def test_main_text():
         ("<body><form><article><p>in a form</p></article></form></body>", "in a form"),
         ("<body><h2 class='related'>r</h2><p class='notice'>n</p></body>", "r\nn"),
         ("<article><h3><button>Part one</button></h3><button>Buy</button><p>x</p></article>", "Part one\nx"),
+        ("<body><table><tr><td><a href=/a>Home</a> <a href=/b>News</a> <a href=/c>Shop</a></td></tr></table><div>text with <a href=x>one link</a> in it</div></body>", "text with one link in it"),
         ("<body><p>t</p><section id='comments'><article class='comment'>c</article></section><section class=comments><article>d</article></section></body>", "t"),
     ],
 )
@@ -355,6 +356,26 @@ def test_templates_go_and_copies_stay(spark):
     assert page_text.main_texts(df.limit(0)).count() == 0
 
 
+def test_deletion_decides(spark):
+    """The same pages without deletion (a template would have to stand on more pages than there are) keep what recurs."""
+    page = lambda k: f"<body><div class=x>This block stands on all pages</div><div class=y>story number {k}</div></body>"
+    df = spark.createDataFrame([(k, f"http://one.org/{k}", page(k)) for k in range(9)], "page_id long, url string, html string")
+    assert {r.text for r in page_text.main_texts(df).collect()} == {f"story number {k}" for k in range(9)}
+    assert {r.text for r in page_text.main_texts(df, least=10).collect()} == {f"This block stands on all pages\nstory number {k}" for k in range(9)}
+
+
+def test_time_grows_with_the_page():
+    import time
+
+    seconds = []
+    for n in (4_000, 16_000):
+        page = "<div>" * n + "word " * n + "</div>" * n
+        started = time.perf_counter()
+        page_text.subtree_hashes(page_text.parse(page))
+        seconds.append(time.perf_counter() - started)
+    assert seconds[1] < 12 * seconds[0]
+
+
 def test_templates_of_a_section_of_a_large_host(spark):
     page = lambda k: f"<body><div class=x>Section {k // 4} rotates here</div><ul><li>part {k // 4}</li></ul><div class=y>story number {k}</div></body>"
     df = spark.createDataFrame([(k, f"http://large.org/{k}", page(k)) for k in range(120)], "page_id long, url string, html string")
