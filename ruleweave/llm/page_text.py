@@ -229,10 +229,10 @@ def subtree_hashes(root: Node, measures: dict[int, Measure] | None = None) -> di
     return out
 
 
-def main_text(root: Node, templates: set[int], asked: set[int] | None = None) -> str:
+def main_text(root: Node, templates: set[int], asked: set[int] | None = None, measures: dict[int, Measure] | None = None) -> str:
     """The article's blocks, one line each. Templates go first; what is left is judged by marks and tags. asked: gets the hashes of the blocks in
     the text that a template could delete."""
-    measures = measured(root)
+    measures = measures or measured(root)
     hashes = {key: h for key, (h, _) in subtree_hashes(root, measures).items()}
     gone = {key for key, h in hashes.items() if h in templates}
     holders: set[int] = set()
@@ -334,9 +334,10 @@ def read_pages(pages: DataFrame) -> DataFrame:
             for page in batch["html"].to_pylist():
                 asked: set[int] = set()
                 root = parse(page or "")
-                texts.append(main_text(root, set(), asked))
+                measures = measured(root)
+                texts.append(main_text(root, set(), asked, measures))
                 marks.append(_hash(_text(root)))
-                hashes.append(sorted({h for h, _ in subtree_hashes(root).values()}))
+                hashes.append(sorted({h for h, _ in subtree_hashes(root, measures).values()}))
                 wanted.append(sorted(asked))
                 sources.append(page if asked else None)
             lists = [pa.array(x, pa.list_(pa.int64())) for x in (hashes, wanted)]
