@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 TREES, MISS, BITS = 32, 0.05, 64
-SHARD_ROWS, QUERY_ROWS, QUERY_BLOCK, MOST_TASKS = 20_000, 20_000, 2048, 20_000
+SHARD_ROWS, QUERY_ROWS, QUERY_BLOCK, MOST_TASKS = 100_000, 1024, 1024, 20_000
 RESULT = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("score", pa.float64())])
 
 
@@ -188,7 +188,7 @@ def neighbours(vectors: DataFrame, queries_at: int = 20, k: int = 20, trees: int
     every = lambda n, name: F.explode(F.sequence(F.lit(0).cast("long"), F.lit(n - 1).cast("long"))).alias(name)
     held = v.select("vec_id", "v", F.pmod(F.xxhash64("vec_id"), F.lit(shards)).alias("rw_shard"), every(blocks, "rw_block"))
     asked = asked.select("vec_id", "v", F.pmod(F.xxhash64("vec_id", "v"), F.lit(blocks)).alias("rw_block"), every(shards, "rw_shard"))
-    tasks = min(shards * blocks, MOST_TASKS)  # a stated number, so that small pairs of long work are not put into one task
+    tasks = min(4 * shards * blocks, MOST_TASKS)  # a stated number, so that small pairs of long work are not put into one task
     held, asked = (df.withColumn("rw_pair", F.col("rw_shard") * blocks + F.col("rw_block")).repartition(tasks, "rw_pair") for df in (held, asked))
 
     def run(key: tuple[pa.Scalar, ...], index: pa.Table, queries: pa.Table) -> pa.Table:
