@@ -5,12 +5,13 @@ from __future__ import annotations
 import math
 import statistics
 import time
+import uuid
 from collections.abc import Callable
-from concurrent.futures import ThreadPoolExecutor
+from concurrent.futures import ThreadPoolExecutor, wait
 from concurrent.futures import TimeoutError as Late
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
 from ruleweave.lang.graph import components
 
@@ -41,12 +42,26 @@ def timed(run: Callable[[], object], repeats: int = 5) -> Timing:
     return Timing(tuple(out))
 
 
-def run_with_timeout(run: Callable[[], object], seconds: float = 900, repeats: int = 1) -> Timing:
-    """As timed(); a repeat that is late or fails makes the configuration a DNF. A late thread is left to end by itself."""
+def run_with_timeout(run: Callable[[], object], seconds: float = 900, repeats: int = 1, spark: SparkSession | None = None) -> Timing:
+    """As timed(); being late makes the configuration a DNF, anything else that goes wrong is raised. With spark, the jobs of a late run are
+    cancelled and its thread is waited for, so that it does not disturb the next cell."""
+    group = f"cell-{uuid.uuid4().hex}"
+
+    def cell() -> Timing:
+        if spark is not None:
+            spark.sparkContext.setJobGroup(group, "timed cell", interruptOnCancel=True)
+        return timed(run, repeats)
+
     pool = ThreadPoolExecutor(1)
+    done = pool.submit(cell)
     try:
-        return pool.submit(timed, run, repeats).result(timeout=seconds)
-    except (Late, Exception):  # noqa: BLE001
+        return done.result(timeout=seconds)
+    except Late:
+        if done.done():  # the run's own
+            raise
+        while spark is not None and not done.done():
+            spark.sparkContext.cancelJobGroup(group)
+            wait([done], timeout=1)
         return Timing((), True)
     finally:
         pool.shutdown(wait=False, cancel_futures=True)

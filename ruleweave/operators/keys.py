@@ -1,12 +1,13 @@
 """Functional dependencies and keys of input relations, exact for the data, and their use.
 
-A level of the lattice of column sets is counted in one pass: a set is a key if it has as many distinct values as rows, and determines a
-column if adding the column makes no more. Supersets of what was found are not asked. Candidate keys are looked at with an approximate count
-first; only those that survive are proven.
+Sets of columns are taken level by level; supersets of a key are not asked. A set is looked at with a sketch first and left out only if
+the sketch's count is below the rows by more than five times its standard error; what remains is proven or refuted by a grouped
+pass that ends at the first repeated value. Dependencies compare exact counts: a set determines a column if adding it makes no more.
 """
 
 from __future__ import annotations
 
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass
 from itertools import combinations
 
@@ -16,6 +17,9 @@ from pyspark.sql import functions as F
 from ruleweave.ir.nodes import Definition
 
 
+ERROR, SKETCHES, TOGETHER = 0.02, 48, 4
+
+
 @dataclass(frozen=True)
 class FD:
     left: tuple[str, ...]
@@ -27,27 +31,37 @@ class KeyViolation(ValueError):
 
 
 def _distinct_counts(df: DataFrame, sets: list[tuple[str, ...]]) -> dict[tuple[str, ...], int]:
-    if not sets:
-        return {}
-    row = df.agg(*[F.count_distinct(F.struct(*[F.col(c) for c in s])).alias(f"n{k}") for k, s in enumerate(sets)]).first()
-    return {s: row[k] for k, s in enumerate(sets)}
+    """Exact numbers of different values, one grouped pass a set, side by side: nothing is expanded."""
+    return dict(zip(sets, _together(lambda s: df.select(*s).distinct().count(), sets), strict=True))
+
 
+def _together(run, sets: list[tuple[str, ...]]) -> list:
+    with ThreadPoolExecutor(TOGETHER) as pool:
+        return list(pool.map(run, sets))
 
-def keys(df: DataFrame, most: int | None = None, slack: float = 0.1) -> list[tuple[str, ...]]:
-    """Minimal sets of columns whose values are all different, smallest first."""
+
+def keys(df: DataFrame, most: int | None = None) -> list[tuple[str, ...]]:
+    """Minimal sets of columns whose values are all different, smallest first; most: the largest size asked, all sizes by default."""
     n = df.count()
     found: list[tuple[str, ...]] = []
     for size in range(1, (most or len(df.columns)) + 1):
         sets = [s for s in combinations(df.columns, size) if not any(set(k) <= set(s) for k in found)]
+        likely = []
+        for a in range(0, len(sets), SKETCHES):
+            part = sets[a : a + SKETCHES]
+            rough = df.agg(*[F.approx_count_distinct(F.struct(*[F.col(c) for c in s]), ERROR).alias(f"n{k}") for k, s in enumerate(part)]).first()
+            likely += [s for k, s in enumerate(part) if rough[k] >= n * (1 - 5 * ERROR)]
+        found += [s for s, unique in zip(likely, _together(lambda s: is_key(df, s), likely), strict=True) if unique]
         if not sets:
             break
-        rough = df.agg(*[F.approx_count_distinct(F.struct(*[F.col(c) for c in s]), 0.02).alias(f"n{k}") for k, s in enumerate(sets)]).first()
-        likely = [s for k, s in enumerate(sets) if rough[k] >= n * (1 - slack)]
-        exact = _distinct_counts(df, likely)
-        found += [s for s in likely if exact[s] == n]
     return found
 
 
+def is_key(df: DataFrame, columns: tuple[str, ...]) -> bool:
+    """Whether no value of the columns is there twice; ends at the first that is."""
+    return df.groupBy(*columns).count().filter("count > 1").limit(1).isEmpty()
+
+
 def discover(df: DataFrame, most: int | None = None) -> list[FD]:
     """Minimal non-trivial functional dependencies with at most `most` columns on the left."""
     columns = df.columns

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 from functools import partial
+from itertools import combinations
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -15,6 +16,7 @@ from ruleweave.ir.rewrite import demand, linearize_closure
 from ruleweave.lang import normalize
 from ruleweave.lang.parser import parse
 from ruleweave.operators import baselines, fixpoint, keys
+from ruleweave.operators.state import all_materialised
 from ruleweave.plans.program import compile_program, evaluate
 from ruleweave.sources.facts import facts, query
 from ruleweave.streaming import incremental
@@ -81,29 +83,41 @@ def _summary(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(rows, "program string, n_edb int, n_idb int, n_scc int, n_rules int")
 
 
-def _key_rows(names: tuple[str, ...], relation: str, most: int, view: bool) -> Query:
+def _key_rows(table: str) -> Query:
     def go(spark, sf_dir):
-        df = facts(spark, sf_dir, [relation])[relation] if view else spark.read.parquet(f"{sf_dir}/{relation}.parquet")
-        return spark.createDataFrame([(",".join(k),) for k in keys.keys(df.select(*names), most)], "key_columns string")
+        df = spark.read.parquet(f"{sf_dir}/{table}.parquet")
+        return spark.createDataFrame([(",".join(k),) for k in keys.keys(df)], "key_columns string")
 
     return go
 
 
-def _fd_rows(names: tuple[str, ...], relation: str, most: int) -> Query:
+def _fd_rows(table: str) -> Query:
     def go(spark, sf_dir):
-        df = spark.read.parquet(f"{sf_dir}/{relation}.parquet").select(*names)
-        return spark.createDataFrame([(",".join(f.left), f.right) for f in keys.discover(df, most)], "determinant string, determined string")
+        df = spark.read.parquet(f"{sf_dir}/{table}.parquet")
+        return spark.createDataFrame([(",".join(f.left), f.right) for f in keys.discover(df)], "determinant string, determined string")
 
     return go
 
 
 def _pick(name: str) -> Query:
+    """The key of each input relation that recursion reads, over all its columns; an empty text where there is none."""
+
     def go(spark, sf_dir):
         compiled = compile_program(programs.PROGRAMS[name])
-        env = run.inputs(spark, sf_dir, name)
+        env = dict(zip(programs.INPUTS[name], all_materialised(run.inputs(spark, sf_dir, name).values()), strict=True))
+        picked = run.picked_keys(compiled, env)
         used = keys.recursive_columns(compiled.definitions, {n: tuple(f.columns) for n, f in env.items()})
-        rows = [(n, ",".join(keys.pick_key(keys.keys(env[n], 3), cols) or ())) for n, cols in sorted(used.items()) if n in env]
-        return spark.createDataFrame(rows, "relation string, key_columns string")
+        return spark.createDataFrame([(n, ",".join(picked.get(n, ()))) for n in sorted(used)], "relation string, key_columns string")
+
+    return go
+
+
+def _program_rounds(name: str) -> Query:
+    """Rounds (the last one finds nothing) and rows of every recursive definition of a program."""
+
+    def go(spark, sf_dir):
+        found = run.evaluated(spark, sf_dir, name)[1].fixpoints
+        return spark.createDataFrame([(n, r.rounds, sum(r.delta_sizes)) for n, r in sorted(found.items())], "relation string, rounds int, n_rows long")
 
     return go
 
@@ -137,19 +151,48 @@ def _comparison(op: str) -> Query:
     return lambda spark, sf_dir: evaluate(compile_program(text), facts(spark, sf_dir, ["flow_null"])).relations["r"]
 
 
-KEY_CASES = {"orders": (("o_orderkey", "o_custkey", "o_orderstatus", "o_orderpriority"), 2), "lineitem": (("l_orderkey", "l_partkey", "l_suppkey", "l_linenumber"), 3), "nation": (("n_nationkey", "n_name", "n_regionkey"), 2), "conversations": (("conv_id", "turn", "role"), 2)}
+# All columns of each table: keys of every size, dependencies of every size.
+KEY_TABLES = {
+    "region": "r_regionkey r_name", "nation": "n_nationkey n_name n_regionkey", "supplier": "s_suppkey s_name s_nationkey s_acctbal",
+    "customer": "c_custkey c_name c_nationkey c_acctbal c_mktsegment", "orders": "o_orderkey o_custkey o_orderstatus o_totalprice o_orderdate o_orderpriority",
+    "part": "p_partkey p_name p_brand p_type p_size p_retailprice", "events": "event_id user_id ts event_type props", "conversations": "conv_id turn role text",
+}
+FD_TABLES = ("region", "nation", "supplier", "customer")
+WORKLOADS = {"w1": "flow_reach", "w2": "dispatch_calls", "w3": "heap_flow", "w4": "escape_scope", "w5": "move_check"}
 
 
-def _key_sql(table: str) -> str:
-    """Brute force: every set up to the size is counted; those without a smaller key inside remain."""
-    from itertools import combinations
+def _sets(columns: list[str]) -> list[tuple[str, ...]]:
+    return [s for n in range(1, len(columns) + 1) for s in combinations(columns, n)]
+
 
-    columns, most = KEY_CASES[table]
-    sets = [s for n in range(1, most + 1) for s in combinations(columns, n)]
-    rows = " union all ".join(f"select [{', '.join(repr(c) for c in s)}] k from {table} having count(distinct ({', '.join(s)})) = count(*)" for s in sets)
+def _key_sql(table: str) -> str:
+    """Brute force: every set is counted; those without a smaller key inside remain."""
+    rows = " union all ".join(f"select [{', '.join(repr(c) for c in s)}] k from {table} having count(distinct ({', '.join(s)},)) = count(*)" for s in _sets(KEY_TABLES[table].split()))
     return f"with c as ({rows}) select array_to_string(k, ',') key_columns from c where not exists (select 1 from c d where d.k <> c.k and len(list_intersect(d.k, c.k)) = len(d.k))"
 
 
+def _fd_sql(table: str) -> str:
+    """Brute force: every set and column; those without a smaller set inside remain."""
+    columns = KEY_TABLES[table].split()
+    rows = " union all ".join(
+        f"select [{', '.join(repr(c) for c in s)}] l, '{r}' r from {table} having count(distinct ({', '.join(s)},)) = count(distinct ({', '.join((*s, r))}))" for s in _sets(columns) for r in columns if r not in s
+    )
+    return f"with c as ({rows}) select array_to_string(l, ',') determinant, r determined from c where not exists (select 1 from c d where d.r = c.r and d.l <> c.l and len(list_intersect(d.l, c.l)) = len(d.l))"
+
+
+def _pick_sql(name: str) -> str:
+    """Brute force: for each relation of the recursion the first of the smallest keys among the columns that recursion uses."""
+    compiled = compile_program(programs.PROGRAMS[name])
+    columns = {n: reference.COLUMNS[n].split() for n in programs.INPUTS[name]}
+    used = keys.recursive_columns(compiled.definitions, {n: tuple(c) for n, c in columns.items()})
+    rows = []
+    for n in sorted(used):
+        sets = [s for s in _sets(columns[n]) if set(s) <= used[n]]
+        rows += [f"select '{n}' relation, '{','.join(s)}' key_columns, {k} o from {n} having count(distinct ({', '.join(s)},)) = count(*)" for k, s in enumerate(sets)]
+        rows.append(f"select '{n}', '', {len(sets)}")
+    return reference.with_views(sorted(used), f"c as ({' union all '.join(rows)})", "select relation, arg_min(key_columns, o) key_columns from c group by relation")
+
+
 def queries() -> dict[str, Query]:
     q: dict[str, Query] = {
         "w1_flow_reach": _relation("flow_reach", "reach"),
@@ -173,13 +216,19 @@ def queries() -> dict[str, Query]:
         "turns_linearized": _turns_linearized,
         "turns_demand": _demand,
         "summary_programs": _summary,
-        "fd_deps_nation": _fd_rows(("n_nationkey", "n_name", "n_regionkey"), "nation", 2),
-        "key_pick_w1": _pick("flow_reach"),
         "rounds_turns": _rounds("turns"),
         "rounds_lines": _rounds("lines"),
         "stream_event_windows": incremental.event_windows,
+        "stream_event_sliding": incremental.event_sliding,
+        "stream_event_sessions": incremental.event_sessions,
         "stream_turn_reach": incremental.turn_reach,
     }
+    for short, name in WORKLOADS.items():
+        q[f"key_pick_{short}"] = _pick(name)
+        q[f"rounds_{short}"] = _program_rounds(name)
+    for way, strategy in (("naive", fixpoint.naive), ("external", baselines.external_loop), ("batches", baselines.round_batches), ("arranged", baselines.arranged)):
+        q[f"w1_flow_reach_{way}"] = _relation("flow_reach", "reach", strategy=strategy)
+        q[f"w2_edges_{way}"] = _relation("dispatch_calls", "calls", strategy=strategy)
     for form in ("lifted", "tagged", "inlined"):
         strategy = _inlined if form == "inlined" else fixpoint.seminaive
         kind = "tagged" if form == "tagged" else "lifted"
@@ -203,8 +252,10 @@ def queries() -> dict[str, Query]:
         q[f"norm_{case}"] = _rewrite(case)
     for word, op in relational.COMPARISONS.items():
         q[f"op_compare_{word}"] = _comparison(op)
-    for table, (columns, most) in KEY_CASES.items():
-        q[f"fd_keys_{table}"] = _key_rows(columns, table, most, False)
+    for table in KEY_TABLES:
+        q[f"fd_keys_{table}"] = _key_rows(table)
+    for table in FD_TABLES:
+        q[f"fd_deps_{table}"] = _fd_rows(table)
     q |= {f"op_{n}": f for n, f in relational.queries().items()}
     return q
 
@@ -230,8 +281,10 @@ def _events_local(what: str, spark: SparkSession, sf_dir: str) -> DataFrame:
 def oracle_sql() -> dict[str, str]:
     r = reference
     o = dict(r.W)
-    for way in ("pivot", "partition", "keyed"):
+    for way in ("pivot", "partition", "keyed", "naive", "external", "batches", "arranged"):
         o[f"w1_flow_reach_{way}"] = o["w1_flow_reach"]
+    for way in ("naive", "external", "batches", "arranged"):
+        o[f"w2_edges_{way}"] = r.W["w2_edges"]
     for form in ("lifted", "tagged", "inlined"):
         o[f"w2_units_{form}"], o[f"w2_edges_{form}"] = r.W["w2_units"], r.W["w2_edges"]
     for form in ("lifted", "tagged"):
@@ -252,14 +305,16 @@ def oracle_sql() -> dict[str, str]:
     o["w8_knot"], o["w10_trace"], o["summary_programs"] = r.KNOT_SQL, r.TRACE_SQL, r.SUMMARY_SQL
     o["rounds_turns"] = f"select 'turns' chains, max(node - root) longest, count(*) n_rows from ({r.heads('turns')})"
     o["rounds_lines"] = f"select 'lines' chains, max(node - root) longest, count(*) n_rows from ({r.heads('lines')})"
-    o["key_pick_w1"] = "select * from (values ('flow_edge', 'src'), ('flow_null', 'src')) t(relation, key_columns)"
-    o["fd_deps_nation"] = "select * from (values ('n_nationkey', 'n_name'), ('n_nationkey', 'n_regionkey'), ('n_name', 'n_nationkey'), ('n_name', 'n_regionkey')) t(determinant, determined)"
+    for short, name in WORKLOADS.items():
+        o[f"key_pick_{short}"] = _pick_sql(name)
+    for table in FD_TABLES:
+        o[f"fd_deps_{table}"] = _fd_sql(table)
     for case, (_, _, sql) in REWRITE_CASES.items():
         o[f"norm_{case}"] = r.with_views(["flow_null", "flow_edge"], "one as (select 1)", sql)
     for word, op in relational.COMPARISONS.items():
         o[f"op_compare_{word}"] = r.with_views(["flow_null"], "one as (select 1)", f"select distinct src as x, dst as y from flow_null where src % 10 {'<>' if op == '!=' else op} dst % 10")
-    for table in KEY_CASES:
+    for table in KEY_TABLES:
         o[f"fd_keys_{table}"] = _key_sql(table)
-    o["stream_event_windows"] = incremental.EVENT_WINDOWS_SQL
+    o["stream_event_windows"], o["stream_event_sliding"], o["stream_event_sessions"] = incremental.EVENT_WINDOWS_SQL, incremental.EVENT_SLIDING_SQL, incremental.EVENT_SESSIONS_SQL
     o |= {f"op_{n}": s for n, s in relational.oracle_sql().items()}
     return o
