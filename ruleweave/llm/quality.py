@@ -33,6 +33,7 @@ MAX_LABELLED = 12_000
 SHAPES = 1 << 10
 HELD_OUT = 2
 BLOCK_ROWS = 512
+BLOCK_CELLS = BLOCK_ROWS * DIMENSIONS
 FAN_IN, FAN_LEVELS = 128, 2
 CHUNK_BYTES = 4 << 20
 _KIND = np.full(256, 3, np.uint8)
@@ -114,6 +115,17 @@ def _chunks(texts: list[bytes]):
         at = end
 
 
+def _packed(sums: np.ndarray) -> bytes:
+    """Whole numbers byte plane by byte plane, compressed: the upper planes of small numbers are nearly empty."""
+    planes = np.ascontiguousarray(sums.astype("<i8").view(np.uint8).reshape(-1, 8).T)
+    return pa.compress(planes.tobytes(), codec="zstd", asbytes=True)
+
+
+def _unpacked(raw: bytes) -> np.ndarray:
+    planes = np.frombuffer(pa.decompress(raw, 8 * BLOCK_CELLS, codec="zstd", asbytes=True), np.uint8)
+    return np.ascontiguousarray(planes.reshape(8, -1).T).view("<i8").ravel()
+
+
 def context_sums(docs: DataFrame, text_col: str = "text", reach: int = 2) -> np.ndarray:
     """For each bucket, the sum of the index vectors of its neighbours over all texts (buckets x dimensions integers, a fixed size)."""
     small_batches(docs.sparkSession)
@@ -134,24 +146,24 @@ def context_sums(docs: DataFrame, text_col: str = "text", reach: int = 2) -> np.
                     shapes += np.bincount(tokens.shape[:-gap][same] * SHAPES + tokens.shape[gap:][same], minlength=SHAPES * SHAPES)
         beside = shapes.reshape(SHAPES, SHAPES)
         np.add.at(total.reshape(BUCKETS, DIMENSIONS), shape_buckets(), (beside + beside.T) @ dense_index_vectors()[shape_buckets()])
-        blocks = total.astype("<i8").reshape(-1, BLOCK_ROWS * DIMENSIONS)
+        blocks = total.astype("<i8").reshape(-1, BLOCK_CELLS)
         task = [TaskContext.get().partitionId()] * len(blocks)
-        yield pa.RecordBatch.from_arrays([pa.array(range(len(blocks)), pa.int32()), pa.array(task, pa.int64()), pa.array([x.tobytes() for x in blocks], pa.binary())], ["block", "part", "sums"])
+        yield pa.RecordBatch.from_arrays([pa.array(range(len(blocks)), pa.int32()), pa.array(task, pa.int64()), pa.array([_packed(x) for x in blocks], pa.binary())], ["block", "part", "sums"])
 
     def add(key: tuple[pa.Scalar, ...], parts: pa.Table) -> pa.Table:
-        total = np.zeros(BLOCK_ROWS * DIMENSIONS, np.int64)
+        total = np.zeros(BLOCK_CELLS, np.int64)
         for raw in parts["sums"]:
-            total += np.frombuffer(raw.as_py(), "<i8")
-        return pa.table({"block": pa.array([key[0].as_py()], pa.int32()), "part": pa.array([key[1].as_py()], pa.int64()), "sums": pa.array([total.tobytes()], pa.binary())})
+            total += _unpacked(raw.as_py())
+        return pa.table({"block": pa.array([key[0].as_py()], pa.int32()), "part": pa.array([key[1].as_py()], pa.int64()), "sums": pa.array([_packed(total)], pa.binary())})
 
     schema = "block int, part long, sums binary"
     rows = docs.select(F.col(text_col).alias("rw_text")).mapInArrow(lean(count), schema)
     for _ in range(FAN_LEVELS):  # a tree: a group adds up at most FAN_IN rows of 256 KB
         rows = rows.withColumn("part", F.floor(F.col("part") / FAN_IN)).groupBy("block", "part").applyInArrow(add, schema)
     rows = rows.collect()  # buckets x dimensions numbers, once for every FAN_IN ** FAN_LEVELS tasks
-    out = np.zeros((BUCKETS // BLOCK_ROWS, BLOCK_ROWS * DIMENSIONS), np.int64)
+    out = np.zeros((BUCKETS // BLOCK_ROWS, BLOCK_CELLS), np.int64)
     for r in rows:
-        out[r.block] += np.frombuffer(r.sums, "<i8")
+        out[r.block] += _unpacked(bytes(r.sums))
     return out.reshape(BUCKETS, DIMENSIONS)
 
 
