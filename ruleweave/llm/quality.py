@@ -116,14 +116,16 @@ def _chunks(texts: list[bytes]):
 
 
 def _packed(sums: np.ndarray) -> bytes:
-    """Whole numbers byte plane by byte plane, compressed: the upper planes of small numbers are nearly empty."""
-    planes = np.ascontiguousarray(sums.astype("<i8").view(np.uint8).reshape(-1, 8).T)
+    """Whole numbers, the sign as lowest bit, byte plane by byte plane, compressed: the upper planes of small numbers are empty."""
+    sums = sums.astype("<i8")
+    planes = np.ascontiguousarray((sums << 1 ^ sums >> 63).view(np.uint8).reshape(-1, 8).T)
     return pa.compress(planes.tobytes(), codec="zstd", asbytes=True)
 
 
 def _unpacked(raw: bytes) -> np.ndarray:
     planes = np.frombuffer(pa.decompress(raw, 8 * BLOCK_CELLS, codec="zstd", asbytes=True), np.uint8)
-    return np.ascontiguousarray(planes.reshape(8, -1).T).view("<i8").ravel()
+    folded = np.ascontiguousarray(planes.reshape(8, -1).T).view("<u8").ravel()
+    return (folded >> U(1)).astype(np.int64) ^ -(folded & U(1)).astype(np.int64)
 
 
 def context_sums(docs: DataFrame, text_col: str = "text", reach: int = 2) -> np.ndarray:
