@@ -86,6 +86,31 @@ s as (select k.doc_id, string_agg(word, ' ' order by k.k) filter (gone.k is null
 select w.doc_id, cast(len(ws) as bigint) n_words, coalesce(n, 0) n_removed, sha256(coalesce(kept, '')) kept_sha256 from w left join s on s.doc_id = w.doc_id
 """
 
+# A private key as SQL can say it: from its BEGIN to its END line (a key without an END line takes assertions that DuckDB's patterns lack).
+KEY_LINES = "-----BEGIN [A-Z0-9 ]{0,40}PRIVATE KEY(?: BLOCK)?-----(?s:.*?)-----END [A-Z0-9 ]{0,40}PRIVATE KEY(?: BLOCK)?-----"
+
+
+def _op9_sql() -> str:
+    """Spans from the lengths of a rule's matches and of the gaps between them, rule by rule."""
+    rules = []
+    for number, rule in enumerate(secret_ledger.RULES):
+        p = "'" + (KEY_LINES if rule.kind == "private_key" else rule.pattern).replace("'", "''") + "'"
+        rules.append(
+            f"select rid, '{rule.kind}' kind, {number} number, {rule.least} least, regexp_extract_all(t, {p}) hits, "
+            f"regexp_extract_all(t, {p}, {rule.group}) grps, string_split_regex(t, {p}) gaps from d where regexp_matches(t, {p})"
+        )
+    counts = ", ".join(f"count(*) filter (kind = '{r.kind}') n_{r.kind}" for r in secret_ledger.BASE)
+    shown = ", ".join(f"coalesce(n_{r.kind}, 0) n_{r.kind}" for r in secret_ledger.BASE)
+    span = "string_agg(concat_ws(':', kind, till - length(hit), till), ',' order by till - length(hit), number)"
+    return f"""
+with d as (select row_number() over () rid, doc_id, coalesce(text, '') t from documents),
+m as ({" union all ".join(rules)}),
+h as (select rid, kind, number, least, unnest(hits) hit, unnest(grps) grp, unnest(gaps[1:len(hits)]) gap, unnest(range(1, len(hits) + 1)) k from m),
+e as (select *, cast(sum(length(gap) + length(hit)) over (partition by rid, kind order by k) as bigint) till from h),
+s as (select rid, {counts}, {span} filter (number < {len(secret_ledger.BASE)}) base, {span} spans from e where length(grp) >= least group by rid)
+select doc_id, {shown}, sha256(coalesce(base, '')) base_sha256, coalesce(spans, '') spans from d left join s using (rid)
+"""
+
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     found = (op1_token_files, op2_prefix_forest, op3_decontaminate, op4_substring_dedup, op5_quality, op6_token_counts, op7_piece_transducer, op8_page_text, op9_secret_ledger, op10_near_dedup)
@@ -93,4 +118,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_decontaminate": OP3_SQL, "op4_substring_dedup": OP4_SQL}
+    return {"op3_decontaminate": OP3_SQL, "op4_substring_dedup": OP4_SQL, "op9_secret_ledger": _op9_sql()}
