@@ -212,6 +212,15 @@ def test_quality(spark, data, docs, odd, none):
     assert all(h == (zlib.crc32(str(i).encode()) % 4 == 2) for i, h in held.items())
 
 
+def test_held_out_labels_play_no_part(spark, data, docs):
+    labels = spark.read.parquet(f"{data}/labels.parquet")
+    held = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 4 == 2
+    turned = labels.withColumn("quality", F.when(held, 1 - F.col("quality")).otherwise(F.col("quality")))
+    model, other = quality.train(docs, labels), quality.train(docs, turned)
+    first, second = ({r.doc_id: r.score for r in quality.scores(docs, m).collect()} for m in (model, other))
+    assert first.keys() == second.keys() and all(abs(first[k] - second[k]) < 1e-9 for k in first)
+
+
 # --- op6
 
 
@@ -449,6 +458,20 @@ def test_secret_spans(spark, none, docs):
     assert all(r.found == [] for r in secret_ledger.Ledger(spark).findings(df).collect())  # nothing was scanned
 
 
+def test_spans_of_all_rules(spark):
+    """Every rule against a plain scan of each text, added rules included."""
+    body = "MIIEpAIBAAKCAQEA" * 4
+    web = ".".join(("eyJhbGciOiJIUzI1", "eyJzdWIiOiIxMjM0", "dozjgNryP4J3jVmN"))
+    texts = [
+        *SECRETS, f"é token: {web}, then {web}", "😀 gho_" + "B2" * 20 + " ghx_" + "B2" * 20,
+        f"a\n-----BEGIN PRIVATE KEY-----\n{body}\n-----END PRIVATE KEY-----\nb -----BEGIN EC PRIVATE KEY-----\n{body}\nMIIE==\nplain words",
+    ]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    for r in secret_ledger.digest(secret_ledger.Ledger(spark).scan(df).findings(df)).collect():
+        found = [(m.start(), k, rule.kind, m.end()) for k, rule in enumerate(secret_ledger.RULES) for m in re.finditer(rule.pattern, texts[r.doc_id] or "", re.ASCII) if len(m[rule.group]) >= rule.least]
+        assert r.spans == ",".join(f"{kind}:{a}:{b}" for a, _, kind, b in sorted(found))
+
+
 def test_ledger_scans_only_what_is_new(spark, tmp_path):
     df = spark.createDataFrame([(1, SECRETS[2]), (2, SECRETS[3]), (3, SECRETS[2])], "doc_id long, text string")
     ledger = secret_ledger.Ledger(spark, str(tmp_path / "ledger")).scan(df)
