@@ -24,6 +24,7 @@ their own. The class id is the smallest doc_id of the class that is not null; a
 from __future__ import annotations
 
 from bisect import bisect_left
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -32,12 +33,14 @@ from pyspark.sql import functions as F
 
 from ruleweave.llm.common import checkpointed, lean, small_batches, staged
 from ruleweave.llm.textnum import U, Words, encoded, mix
+from ruleweave.operators.state import discard
 
 WORDS, THRESHOLD = 5, 0.8
 SKETCHES, KEPT = 24, 4
 SHORT = 8  # labels; texts with fewer reach the threshold only with texts that have one label more
 BLOCK, COLUMNS = 256, 4096
 SALTS = 8
+LOCAL_EDGES = 1_000_000  # 16 MB, and some 100 MB of a task while they are joined
 NO_ID = -(1 << 63)
 _SEEDS = mix(np.arange(1, 4096, dtype=U)) | U(1)
 
@@ -174,9 +177,11 @@ def verified(pairs: DataFrame, texts: DataFrame, threshold: float = THRESHOLD) -
     return pairs.select("a", "b").join(other, "b").join(held, "a").mapInArrow(lean(run), "a long, b long")
 
 
-def components(edges: DataFrame) -> DataFrame:
-    """id, component (its smallest id) of every node of an undirected graph (a, b), by large-star and small-star steps."""
+def components(edges: DataFrame, local: int = LOCAL_EDGES) -> DataFrame:
+    """id, component (its smallest id) of every node of an undirected graph (a, b): up to `local` edges in one task, more by large-star and small-star steps."""
     spark_edges = checkpointed(edges.filter("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct())
+    if spark_edges.count() <= local:  # a step has six exchanges, whose files are many however few the edges are
+        return spark_edges.coalesce(1).mapInArrow(lean(_smallest), "id long, component long")
     seal = None
     while True:
         both = spark_edges.unionByName(spark_edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
@@ -184,7 +189,8 @@ def components(edges: DataFrame) -> DataFrame:
         large = both.filter("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(least.select("u", F.col("m").alias("v")))
-        spark_edges = checkpointed(small.filter("u <> v").distinct())
+        before, spark_edges = spark_edges, checkpointed(small.filter("u <> v").distinct())
+        discard(before)
         now = spark_edges.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if now == seal:
             break
@@ -193,6 +199,22 @@ def components(edges: DataFrame) -> DataFrame:
     return heads.select(F.col("u").alias("id"), "component").unionByName(heads.select("component").distinct().select(F.col("component").alias("id"), "component"))
 
 
+def _smallest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The nodes of all edges (u, v) with the smallest of their component: roots are hung below smaller neighbours, which leaves at most half of them a turn."""
+    ends = [(batch["u"].to_numpy(), batch["v"].to_numpy()) for batch in batches]
+    ids, at = np.unique(np.concatenate([np.empty(0, np.int64), *(x for pair in ends for x in pair)]), return_inverse=True)
+    sizes = np.repeat([len(u) for u, _ in ends], 2)
+    sides = np.split(at, np.cumsum(sizes)[:-1]) if ends else [at, at]
+    u, v = np.concatenate(sides[::2]), np.concatenate(sides[1::2])
+    root = np.arange(len(ids))
+    while (root[u] != root[v]).any():
+        a, b = root[u], root[v]
+        np.minimum.at(root, np.maximum(a, b), np.minimum(a, b))
+        while (root[root] != root).any():
+            root = root[root]
+    yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(ids[root])], ["id", "component"])
+
+
 def links(nodes: DataFrame, texts: DataFrame, threshold: float = THRESHOLD, block: int = BLOCK, repeated: bool = True) -> DataFrame:
     """Verified links (a, b) between different texts that connect every class: nodes has id, doc, exact, n, sketches; texts has doc, exact, text, once or more for each node."""
     keyed = nodes.select("id", "n", F.posexplode("sketches").alias("at", "s")).select("id", "n", F.xxhash64(F.least("at", F.lit(SKETCHES)), "s").alias("key"))  # short keys have no place

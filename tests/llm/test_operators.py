@@ -604,3 +604,12 @@ def test_components_of_a_path(spark):
     found = {r.id: r.component for r in near_dedup.components(edges).collect()}
     assert found == {k: 0 for k in range(31)} | {100: 100, 101: 100}
     assert near_dedup.components(edges.limit(0)).count() == 0
+
+
+def test_few_links_are_joined_without_an_exchange(spark):
+    """One task joins them as the steps do."""
+    edges = spark.range(400).select(F.pmod(F.xxhash64("id"), F.lit(500)).alias("a"), F.pmod(F.xxhash64(F.col("id") + 1000), F.lit(500)).alias("b"))
+    found = near_dedup.components(edges)
+    assert "Exchange" not in found._jdf.queryExecution().executedPlan().toString()
+    want = {tuple(r) for r in near_dedup.components(edges, local=0).collect()}
+    assert {tuple(r) for r in found.collect()} == want and 1 < len({c for _, c in want}) < len(want)
